@@ -32,6 +32,8 @@ _end = re.compile(r"(?<=[.!?…])[\"'”»)]*\s+|\s*\n\s*|(?<=\w)\s+(?=[A-ZÀ-Ö
 
 def bounds(text: str) -> list[tuple[int, int]]:
     """(begin, end) of each sentence with the white space after it: together they are the text."""
+    if not text:
+        return []
     ends = [m.end() for m in _end.finditer(text)]
     if not ends or ends[-1] != len(text):
         ends.append(len(text))
