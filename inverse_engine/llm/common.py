@@ -7,6 +7,7 @@ import os
 import tempfile
 import uuid
 import zipfile
+from functools import cache
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -80,6 +81,22 @@ def ship(spark: SparkSession) -> None:
     _shipped.add(id(context))
 
 
+@cache
+def one_thread() -> None:
+    """Matrix products of this process run on one thread: a worker has one core, and threads of many workers get in each other's way."""
+    import ctypes
+    import glob
+
+    import numpy
+
+    for path in glob.glob(os.path.join(os.path.dirname(numpy.__file__), "..", "numpy.libs", "*openblas*")):
+        library = ctypes.CDLL(path)
+        for name in ("scipy_openblas_set_num_threads64_", "openblas_set_num_threads64_", "scipy_openblas_set_num_threads", "openblas_set_num_threads"):
+            if hasattr(library, name):
+                getattr(library, name)(1)
+                break
+
+
 def fold(column: str, parts: int) -> Column:
     """The remainder that splits rows into folds: crc32 of the id as text, modulo parts; a null id counts as an empty text."""
     return F.pmod(F.crc32(F.coalesce(F.col(column).cast("string"), F.lit("")).cast("binary")), F.lit(parts))

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from inverse_engine.llm.common import materialise, ship
+from inverse_engine.llm.common import materialise, one_thread, ship
 
 #: Candidates in a block, queries in a block, candidates in a step, rotated coordinates of the partial sum.
 BLOCK, QUERIES, STEP, LEADING = 4096, 1024, 512, 16
@@ -130,6 +130,7 @@ def top_inner_products(vectors: DataFrame, id_column: str, vector_column: str, e
     queries = dealt.where(F.col("vec_id") % every == 0).select("vec_id", "v", F.pmod(F.xxhash64("vec_id", F.lit(3)), F.lit(lots)).cast("int").alias("lot"))
 
     def task(frame: pd.DataFrame) -> pd.DataFrame:
+        one_thread()
         asked, given = frame[frame["asked"]], frame[~frame["asked"]].sort_values(["len2", "vec_id"], ascending=[False, True], kind="stable")
         asked = asked.drop_duplicates("vec_id")
         found = search(asked["vec_id"].to_numpy(), _matrix(asked["v"].tolist(), d), asked["floor"].to_numpy(), given["vec_id"].to_numpy(), _matrix(given["v"].tolist(), d), basis, k)

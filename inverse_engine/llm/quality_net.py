@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from inverse_engine.llm.common import fold, labelled_sample, materialise, ship
+from inverse_engine.llm.common import fold, labelled_sample, materialise, one_thread, ship
 
 #: Rows for words and for shapes, width of the vectors, non-zeros of an index vector, hidden units.
 WORD_ROWS, SHAPE_ROWS, WIDTH, NONZERO, HIDDEN = 6144, 2048, 32, 4, 32
@@ -169,6 +169,7 @@ class Net:
 
 def train_net(x: np.ndarray, y: np.ndarray, epochs: int = 40, batch: int = 64, rate: float = 3e-3, decay: float = 1e-3) -> Net:
     """Adam on the log loss; the last fifth (the caller shuffles) only sets the temperature."""
+    one_thread()
     rng = np.random.default_rng(7)
     mean, scale = x.mean(0), x.std(0) + 1e-3
     net = Net(mean, scale, rng.normal(0, (2 / SIZE) ** 0.5, (SIZE, HIDDEN)), np.zeros(HIDDEN), rng.normal(0, (1 / HIDDEN) ** 0.5, HIDDEN), 0.0)
@@ -240,6 +241,7 @@ def score(docs: DataFrame, model: Model, *keep: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rows, index = Rows(), index_vectors()
+        one_thread()
         vectors, net = shared.value
         for part, codes, counts, _ in _documents(batches, rows):
             p = net(pooled(codes, counts, vectors, index).astype(np.float64))
