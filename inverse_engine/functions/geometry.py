@@ -22,21 +22,34 @@ def at(vector: Column, d: int) -> list[Column]:
     return [F.get(vector, F.lit(i)) for i in range(d)]
 
 
+#: Longer sums and conditions become one array expression: the optimizer's work on a chain grows steeply with its length.
+LONGEST_CHAIN = 10
+
+
 def total(parts: Sequence[Column]) -> Column:
     """Left to right, so that a sum of doubles is the same wherever it is taken."""
+    if len(parts) > LONGEST_CHAIN:
+        return F.aggregate(F.array(*parts[1:]), parts[0], lambda a, b: a + b)
     return reduce(lambda a, b: a + b, parts)
 
 
 def dist2(a: Sequence[Column], b: Sequence[Column]) -> Column:
     """Squared Euclidean distance, summed by ascending dimension."""
+    if len(a) > LONGEST_CHAIN:
+        squares = F.zip_with(F.array(*a), F.array(*b), lambda x, y: (x - y) * (x - y))
+        return F.aggregate(squares, F.lit(0.0), lambda s, x: s + x)
     return total([(x - y) * (x - y) for x, y in zip(a, b, strict=True)])
 
 
 def all_of(parts: Sequence[Column]) -> Column:
+    if len(parts) > LONGEST_CHAIN:
+        return F.forall(F.array(*parts), lambda x: x)
     return reduce(lambda a, b: a & b, parts)
 
 
 def any_of(parts: Sequence[Column]) -> Column:
+    if len(parts) > LONGEST_CHAIN:
+        return F.exists(F.array(*parts), lambda x: x)
     return reduce(lambda a, b: a | b, parts)
 
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from inverse_engine.functions.geometry import all_of, at, box_max_dist2, box_min_dist2, columns, coordinates, dist2, in_box, max_dist2_of_set
+from inverse_engine.functions.geometry import LONGEST_CHAIN, all_of, at, box_max_dist2, box_min_dist2, columns, coordinates, dist2, in_box, max_dist2_of_set
 from inverse_engine.operators.common import chosen_member, gathered, intersected, singletons, without_queries
 from inverse_engine.plans.blocks import Index, small
 from inverse_engine.sources.points import dimension
@@ -52,9 +52,12 @@ def eps_blocks(blocks: DataFrame, windows: DataFrame, d: int) -> DataFrame:
 
 def _reach(points: DataFrame, rows: DataFrame, d: int, closed: bool, index: Index | None) -> DataFrame:
     """(set_id, id) for gathered rows with eps, members of Q among them."""
-    live = eps_window(eps_validate(rows, d, closed).where("alive"), d).drop("alive")
+    live = eps_validate(rows, d, closed).where("alive").drop("alive")
     x = columns(coordinates(d))
     fits = within(max_dist2_of_set(x, F.col("qs"), d), F.col("eps"), closed)
+    if index is None and d > LONGEST_CHAIN:  # boxes say little in many dimensions
+        return points.join(F.broadcast(live), fits).select("set_id", "id")
+    live = eps_window(live, d)
     if index is None:
         window = in_box(x, at(F.col("lo"), d), at(F.col("hi"), d))
         return points.join(F.broadcast(live), window & fits).select("set_id", "id")
@@ -87,6 +90,17 @@ def inverse_eps_range(points: DataFrame, sets: DataFrame, eps: float | None = No
     return found if include_query_objects or candidates is not None else without_queries(found, rows)
 
 
+def inverse_eps_vectors(vectors: DataFrame, sets: DataFrame, eps: float) -> DataFrame:
+    """(set_id, id) for points (id, v array<double>) of many dimensions, where boxes say little: one pass, no unrolled columns."""
+    member = F.struct(F.col("q_id").alias("q"), F.col("v").alias("x"))
+    rows = F.broadcast(sets).join(vectors, F.col("q_id") == F.col("id")).groupBy("set_id").agg(F.collect_list(member).alias("qs"))
+    far2 = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x)
+    limit = F.lit(eps) * F.lit(eps)
+    live = rows.where(F.forall("qs", lambda a: F.forall("qs", lambda b: far2(a["x"], b["x"]) <= limit * 4)))
+    fits = F.forall("qs", lambda q: (far2(F.col("v"), q["x"]) <= limit) & (q["q"] != F.col("id")))
+    return vectors.join(F.broadcast(live), fits).select("set_id", "id")
+
+
 def eps_result_counts(index: Index, sets: DataFrame, eps: float) -> DataFrame:
     """(set_id, n): numbers of results with members of Q among them; inner blocks are counted unread."""
     rows = gathered(index.points.drop("cell"), sets).withColumn("eps", F.lit(float(eps)))

@@ -85,7 +85,6 @@ method("eps_inverse_open", "part2", E_(0.1, closed=False), 4, 4, WIDE, R.eps_sql
 method("eps_inverse_incl_q", "line3", E_(EPS), 5, 5, EXTENT, R.eps_sql(3, EPS, keep_queries=True), include_query_objects=True)
 method("eps_bichromatic", "part2", E_(0.1), 4, 4, WIDE, R.eps_sql(2, 0.1, keep_queries=True), candidates="customer2")
 method("eps_region_lattice", "part2", E_(0.1), 3, 4, WIDE, R.eps_sql(2, 0.1, keep_queries=True), candidates="lattice-64")
-method("eps_embeddings64", "emb64", E_(1.2), 4, 3, None, R.eps_sql(64, 1.2))
 method("eps_orders", "orders2", E_(0.1), 4, 4, WIDE, R.eps_sql(2, 0.1), indexed=True)
 method("eps_clustered", "customer3", E_(0.1), 4, 3, WIDE, R.eps_sql(3, 0.1), indexed=True)
 sweep("eps_sweep_eps", EPS_SWEEP, lambda v: ("line3", E_(v), 4, M, EXTENT, R.eps_sql(3, v)))
@@ -97,6 +96,20 @@ sweep("eps_sweep_d", (2, 3, 4, 5), lambda d: (f"line{d}", E_(_radius[d]), 4, M,
 sweep("eps_sweep_extent", EXTENT_SWEEP, lambda v: ("line3", E_(EPS), 4, M, v, R.eps_sql(3, EPS)))
 
 
+def _vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = read_table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("v"))
+    first = query_sets.anchors(rows.select("id"), 6, 0).select((F.col("set_id") % 2).cast("long").alias("set_id"), F.col("anchor").alias("q_id"))
+    return eps_range.inverse_eps_vectors(rows, first, 1.3)
+
+
+case(
+    "eps_embeddings64",
+    _vectors,
+    f"WITH pts AS ({R.point_sql('emb64')[0]}), q AS (SELECT CAST((row_number() OVER (ORDER BY {R.draw_sql(0)}, id) - 1) % 2 AS BIGINT) AS set_id, id AS q, {', '.join(f'x{i}' for i in range(64))} FROM pts ORDER BY {R.draw_sql(0)}, id LIMIT 6), "
+    f"pool AS (SELECT * FROM pts), ids AS (SELECT set_id, count(*) AS m FROM q GROUP BY set_id) {R.eps_sql(64, 1.3)}",
+)
+
+
 def _per_set_eps(spark: SparkSession, sf_dir: str) -> DataFrame:
     points = fixture(spark, sf_dir, "line3")
     sets = _sets(points, 5, 5, EXTENT).withColumn("eps", F.lit(0.04) + F.col("set_id") * F.lit(0.01))

@@ -7,7 +7,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from inverse_engine.functions.geometry import coordinates, total
+from inverse_engine.functions.geometry import coordinates
 
 
 def dimension(points: DataFrame) -> int:
@@ -19,12 +19,12 @@ def make_points(source: DataFrame, id_: Column, coords: Sequence[Column], normal
 
     Rows with a null, NaN or infinite coordinate are dropped, or raise with invalid="raise"."""
     names = coordinates(len(coords))
-    rows = source.select(id_.cast("long").alias("id"), *[c.cast("double").alias(n) for c, n in zip(coords, names, strict=True)])
-    usable = total([F.col(n) for n in names])
-    fine = F.col("id").isNotNull() & usable.isNotNull() & ~F.isnan(usable) & (F.abs(usable) != float("inf"))
+    # One array column is tested: conditions on many columns would multiply under the optimizer's inference of constraints.
+    rows = source.select(id_.cast("long").alias("id"), F.array(*[c.cast("double") for c in coords]).alias("v"))
+    fine = F.col("id").isNotNull() & F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) != float("inf")))
     if invalid == "raise" and rows.where(~F.coalesce(fine, F.lit(False))).head(1):
         raise ValueError("a coordinate is null or not finite")
-    rows = rows.where(F.coalesce(fine, F.lit(False)))
+    rows = rows.where(F.coalesce(fine, F.lit(False))).select("id", *[F.get("v", F.lit(i)).alias(n) for i, n in enumerate(names)])
     if check_unique and rows.groupBy("id").count().where("count > 1").head(1):
         raise ValueError("ids repeat")
     if not normalise:
