@@ -13,6 +13,7 @@ counts are 0 and every class is alike; repeated rows are scored each; extra colu
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -58,7 +59,7 @@ def token_counts(train: DataFrame) -> DataFrame:
     """(h, kind, c): counts of all words. Each partition sends a word once (or once for each time that its memory was full)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts: dict[bytes, int] = {}
+        counts: Counter[bytes] = Counter()
         codes = Codes()
 
         def emit() -> pa.RecordBatch:
@@ -67,8 +68,7 @@ def token_counts(train: DataFrame) -> DataFrame:
 
         for batch in batches:
             for text in batch.column(0).to_pylist():
-                for w in tokens(text):
-                    counts[w] = counts.get(w, 0) + 1
+                counts.update(tokens(text))
                 if len(counts) > REMEMBERED:
                     yield emit()
                     counts.clear()
@@ -98,20 +98,24 @@ class Vocabulary:
 
 
 class Known(dict):
-    """word -> (class, context row, count or -1 if not held, hash), remembered."""
+    """word -> its row of `facts`: class, context row, count (-1 if not held), hash. Remembered; row 0 is the end."""
 
     def __init__(self, vocabulary: Vocabulary):
         super().__init__()
         self.vocabulary = vocabulary
+        self.facts = np.zeros((1 << 16, 4), dtype=np.int64)
+        self.facts[0] = (0, 0, vocabulary.ends, 0)
 
-    def __missing__(self, word: bytes) -> tuple[int, int, int, int]:
-        if len(self) > REMEMBERED:
-            self.clear()
+    def __missing__(self, word: bytes) -> int:
+        at = len(self) + 1
+        if at == len(self.facts):
+            self.facts = np.concatenate([self.facts, np.zeros_like(self.facts)])
         h, kind = word_code(word)
         c = self.vocabulary.classes.get(h, 1 + FREQUENT + kind)
         row = c if c <= FREQUENT else 1 + FREQUENT + xxhash.xxh3_64_intdigest(word[-4:]) % (CONTEXT_ROWS - 1 - FREQUENT)
-        self[word] = value = (c, row, self.vocabulary.held.get(h, -1), h)
-        return value
+        self.facts[at] = (c, row, self.vocabulary.held.get(h, -1), h)
+        self[word] = at
+        return at
 
 
 class Parameters:
@@ -146,16 +150,15 @@ class Parameters:
 
 def encode(texts: list[str | None], known: Known) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Class, preceding rows, count, hash of every token (ends: class 0, hash 0), and each text's number of tokens."""
-    found: list[tuple[int, int, int, int]] = []
-    lengths = []
-    end = (0, 0, known.vocabulary.ends, 0)
-    for t in texts:
-        own = tokens(t)
-        found.extend(map(known.__getitem__, own))
-        found.append(end)
-        lengths.append(len(own) + 1)
-    table = np.array(found, dtype=np.int64).reshape(-1, 4)
-    lengths = np.array(lengths, dtype=np.int64)
+    if len(known) > REMEMBERED:
+        known.clear()
+    own = [tokens(t) for t in texts]
+    lengths = np.array([len(w) + 1 for w in own], dtype=np.int64)
+    at = np.zeros(int(lengths.sum()), dtype=np.int64)
+    inside = np.ones(len(at), dtype=bool)
+    inside[np.cumsum(lengths) - 1] = False
+    at[inside] = np.fromiter((i for w in own for i in map(known.__getitem__, w)), dtype=np.int64, count=int(inside.sum()))
+    table = known.facts[at]
     place = np.arange(len(table)) - np.repeat(np.cumsum(lengths) - lengths, lengths)
     before = np.full((len(table), CONTEXT), -1, dtype=np.int64)
     for i in range(CONTEXT):
