@@ -253,6 +253,7 @@ method("sky_bichromatic", "part2", S_, 3, 2, None, R.sky_sql(2, mono=False), can
 method("sky_region_lattice", "part2", S_, 3, 2, None, R.sky_sql(2, mono=False), candidates="lattice-32")
 method("sky_incl_m1_orders", "orders2", S_, 1, 2, None, R.sky_sql(2))
 sweep("sky_sweep_m", (1, 2, 3, 4), lambda v: ("emb8", S_, 2, v, None, R.sky_sql(8)))
+sweep("sky_sweep_extent", (0.005, 0.02, 0.05), lambda v: ("customer3", S_, 3, 2, v, R.sky_sql(3)))
 sweep("sky_sweep_d", (2, 3, 4, 5), lambda v: (f"emb{v}", S_, 4, 2, None, R.sky_sql(v)))
 
 
@@ -528,6 +529,29 @@ def _asof(spark: SparkSession, sf_dir: str) -> DataFrame:
 case("asof_last_profile", _asof, "WITH k AS (SELECT list(DISTINCT event_type ORDER BY event_type) AS l FROM events) SELECT e.event_id, (SELECT arg_max(v.event_id, {'t': v.ts, 'e': v.event_id}) FROM events v WHERE v.user_id = e.user_id AND v.event_type = (SELECT l[1] FROM k) AND (v.ts < e.ts OR (v.ts = e.ts AND v.event_id < e.event_id))) AS latest FROM events e WHERE e.event_type = (SELECT l[2] FROM k)")
 
 
+def _report(table: str, predicate, m: int, extent: float | None) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        from inverse_engine.plans.reports import explain_filters
+
+        points = fixture(spark, sf_dir, table)
+        return explain_filters(points, _sets(points, 4, m, extent), predicate)
+
+    return run
+
+
+case("filter_report_eps", _report("line3", E_(EPS), 5, EXTENT), None)
+case("filter_report_knn", _report("part2", N_(50), 4, WIDE), None)
+case("filter_report_sky", _report("customer3", S_, 2, None), None)
+
+
+def _overlap(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Benchmark items as points: characters, words, distinct words."""
+    words = F.split("text", " ")
+    return read_table(spark, sf_dir, "benchmark").select(F.col("item_id").alias("id"), F.length("text").cast("long").alias("chars"), F.size(words).cast("long").alias("words"), F.size(F.array_distinct(words)).cast("long").alias("distinct_words"))
+
+
+case("benchmark_overlap_points", _overlap, "SELECT item_id AS id, CAST(length(text) AS BIGINT) AS chars, CAST(len(string_split(text, ' ')) AS BIGINT) AS words, CAST(len(list_distinct(string_split(text, ' '))) AS BIGINT) AS distinct_words FROM benchmark")
+
 # Applications.
 method("app_package_customers", "part2", N_(50), 3, 3, WIDE, R.knn_sql(2, 50, mono=False), candidates="customer2", oracle=True)
 method("app_family_pick", "customer2", E_(0.25), 4, 3, WIDE, R.eps_sql(2, 0.25, keep_queries=True), candidates="part2")
