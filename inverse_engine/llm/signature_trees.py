@@ -34,6 +34,8 @@ from inverse_engine.llm.components import components
 
 #: Ratio of the bounds of a size class; nodes of a part of a branch; sets of a leaf; children of a tree node.
 CLASS_RATIO, BRANCH, LEAF, FANOUT = 1.35, 192, 6, 4
+#: Up to so many slices, one with a single shingle counts as poor, above it only an empty one.
+MANY_SLICES = 128
 #: Words that a worker remembers; up to so many nodes are broadcast to fetch their texts, more are joined by exchange.
 REMEMBERED, MOST_BROADCAST = 500_000, 200_000
 _A, _B, _C = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9)
@@ -85,6 +87,13 @@ class Classes:
         # Linked sets of at most h shingles differ in at most 2h(1-t)/(1+t).
         self.slices = [2 * (h - 1) * (whole - part) // (whole + part) + 1 for h in low[1:]]
 
+    @staticmethod
+    def _slice_keys(dealt: np.ndarray, own: np.ndarray, m: int, j: int) -> tuple[np.ndarray, np.ndarray]:
+        place = (dealt % np.uint64(m)).astype(np.int64)
+        sums = np.zeros(m, dtype=np.uint64)
+        np.add.at(sums, place, mixed(own ^ _A))
+        return mixed(sums * _C + np.arange(m, dtype=np.uint64) * _B + np.array([j + 1], dtype=np.uint64) * _A), np.bincount(place, minlength=m)
+
     def keys(self, own: np.ndarray) -> np.ndarray:
         """The cells of a set: one for each slice, in its class, and in the next if its size may meet that."""
         at = int(np.searchsorted(self.low, len(own), side="right")) - 1
@@ -93,9 +102,14 @@ class Classes:
             if j > at and len(own) * self.whole < self.part * int(self.low[j]):
                 break
             m = self.slices[j]
-            sums = np.zeros(m, dtype=np.uint64)
-            np.add.at(sums, (own % np.uint64(m)).astype(np.int64), mixed(own ^ _A))
-            out.append(mixed(sums * _C + np.arange(m, dtype=np.uint64) * _B + np.array([j + 1], dtype=np.uint64) * _A))
+            keys, counts = self._slice_keys(own, own, m, j)
+            poor = counts <= (1 if m <= MANY_SLICES else 0)
+            out.append(keys[~poor])
+            if poor.any():
+                # Unlike sets meet in slices with next to nothing in them. Sets that link agree on a slice of any other dealing too,
+                # so such a slice is asked for together with each slice of a second dealing.
+                again, _ = self._slice_keys(mixed(own ^ _C), own, m, j)
+                out.append(mixed(keys[poor][:, None] * _A + again[None, :] * _B).ravel())
         return np.concatenate(out).view(np.int64)
 
 
