@@ -64,8 +64,9 @@ def rds_candidates(points: DataFrame, rows: DataFrame) -> DataFrame:
     d = dimension(points)
     x, q = columns(coordinates(d)), at(F.get("qs", F.lit(0))["x"], d)
     near = points.join(F.broadcast(rows), F.col("id") != F.get("qs", F.lit(0))["q"])
-    moved = near.select("set_id", orthant(x, q).alias("orthant"), "id", *[F.abs(a - b).alias(n) for a, b, n in zip(x, q, coordinates(d), strict=True)])
-    return skyline(moved, ["set_id", "orthant"]).select("set_id", "id")
+    key = F.col("set_id").cast("string")  # a set's id may be a struct, which pandas cannot group by
+    moved = near.select(key.alias("key"), orthant(x, q).alias("orthant"), "id", *[F.abs(a - b).alias(n) for a, b, n in zip(x, q, coordinates(d), strict=True)])
+    return skyline(moved, ["key", "orthant"]).join(F.broadcast(rows.select("set_id", key.alias("key"))), "key").select("set_id", "id")
 
 
 def sky_validate(rows: DataFrame, d: int) -> DataFrame:
@@ -73,8 +74,11 @@ def sky_validate(rows: DataFrame, d: int) -> DataFrame:
 
     def surrounded(q):
         others = F.filter("qs", lambda o: ~all_of([a == b for a, b in zip(at(o["x"], d), at(q["x"], d), strict=True)]))
-        sides = [F.exists(others, lambda o, mask=mask: all_of([(a >= b) if mask >> i & 1 else (a <= b) for i, (a, b) in enumerate(zip(at(o["x"], d), at(q["x"], d), strict=True))])) for mask in range(1 << d)]
-        return all_of(sides)
+
+        def held(mask: int):
+            return F.exists(others, lambda o: all_of([(a >= b) if mask >> i & 1 else (a <= b) for i, (a, b) in enumerate(zip(at(o["x"], d), at(q["x"], d), strict=True))]))
+
+        return all_of([held(mask) for mask in range(1 << d)])
 
     return rows.withColumn("alive", ~F.exists("qs", surrounded))
 
