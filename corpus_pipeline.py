@@ -18,7 +18,8 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the learned decision list and the base rule keep. Rules are learned from the labels among docs."""
     rules = decision_list.learn(docs, table(spark, sf_dir, "labels"))
-    judged = decision_list.apply_rules(decision_list.measured(docs, *COLUMNS), rules)
+    # Written first: a condition on `kept` would otherwise sink to the scan, with every measure inside every lambda.
+    judged = materialise(decision_list.apply_rules(decision_list.measured(docs, *COLUMNS), rules).select(*COLUMNS, "kept"), "pipeline-judged")
     return judged.where("kept").select(*COLUMNS)
 
 
