@@ -90,7 +90,8 @@ def repeated_runs(docs: DataFrame) -> DataFrame:
     runs = found.select("row_key", "place", F.explode(F.arrays_zip("hashes", "firsts", "lasts")).alias("r")).select("row_key", "place", F.col("r.hashes").alias("h"), F.col("r.firsts").alias("first"), F.col("r.lasts").alias("last"))
     # Partial sums before the exchange make a frequent run one row for each task.
     seen = runs.groupBy("h").agg(F.min(F.struct("place", "first", "row_key")).alias("origin"), F.max(F.struct("place", "first", "row_key")).alias("end")).where(F.col("origin") != F.col("end"))
-    again = seen.select("h", F.col("origin.row_key").alias("origin_key"), F.col("origin.first").alias("origin_first"))
+    # Written first, so that both sides of the join have an exchange and a frequent run's rows can be split.
+    again = materialise(seen.select("h", F.col("origin.row_key").alias("origin_key"), F.col("origin.first").alias("origin_first")), "repeated-runs")
     late = runs.join(again, "h").where((F.col("row_key") != F.col("origin_key")) | (F.col("first") != F.col("origin_first")))
     return late.select("row_key", "first", "last").groupBy("row_key").agg(F.collect_set(F.struct("first", "last")).alias("runs")).select("row_key", F.col("runs.first").alias("first"), F.col("runs.last").alias("last"))
 
