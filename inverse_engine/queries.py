@@ -249,8 +249,8 @@ for label, options in {"joint": {"indexed": True}, "naive": {"strategy": "naive"
 method("sky_reverse_m1", "part2", S_, 4, 1, None, R.sky_sql(2))
 method("sky_users", "users4", S_, 4, 4, None, R.sky_sql(4))
 method("sky_supplier", "supplier3", S_, 5, 3, None, R.sky_sql(3))
-method("sky_bichromatic", "part2", S_, 3, 2, None, R.sky_sql(2, mono=False), candidates="customer2")
-method("sky_region_lattice", "part2", S_, 3, 2, None, R.sky_sql(2, mono=False), candidates="lattice-32")
+method("sky_bichromatic", "part2", S_, 3, 1, None, R.sky_sql(2, mono=False), candidates="customer2")
+method("sky_region_lattice", "part2", S_, 3, 1, None, R.sky_sql(2, mono=False), candidates="lattice-32")
 method("sky_incl_m1_orders", "orders2", S_, 1, 2, None, R.sky_sql(2))
 sweep("sky_sweep_m", (1, 2, 3, 4), lambda v: ("emb8", S_, 2, v, None, R.sky_sql(8)))
 sweep("sky_sweep_extent", (0.005, 0.02, 0.05), lambda v: ("customer3", S_, 3, 2, v, R.sky_sql(3)))
