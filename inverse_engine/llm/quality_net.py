@@ -31,7 +31,7 @@ ROWS = WORD_ROWS + SHAPE_ROWS
 #: Labelled documents that are learned from, about.
 MOST_LABELLED = 16_000
 #: Tokens that are worked on together, and entries that a worker remembers.
-STEP, REMEMBERED = 200_000, 400_000
+STEP, REMEMBERED = 100_000, 120_000
 #: Row blocks and lanes of the matrix sum.
 BLOCKS, LANES = 16, 16
 RATIOS = 6

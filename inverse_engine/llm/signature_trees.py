@@ -37,7 +37,7 @@ CLASS_RATIO, BRANCH, LEAF, FANOUT = 1.35, 192, 6, 4
 #: Up to so many slices, one with a single shingle counts as poor, above it only an empty one.
 MANY_SLICES = 128
 #: Words that a worker remembers; up to so many nodes are broadcast to fetch their texts, more are joined by exchange.
-REMEMBERED, MOST_BROADCAST = 500_000, 200_000
+REMEMBERED, MOST_BROADCAST = 120_000, 200_000
 _A, _B, _C = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9)
 
 
@@ -47,6 +47,13 @@ def mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
+def slices(batches: Iterator[pa.RecordBatch], rows: int = 1000) -> Iterator[pa.RecordBatch]:
+    """Smaller batches: texts and keys of so many rows are held at once."""
+    for batch in batches:
+        for start in range(0, batch.num_rows, rows):
+            yield batch.slice(start, rows)
+
+
 class WordHashes(dict):
     def __missing__(self, word: bytes) -> int:
         if len(self) > REMEMBERED:
@@ -229,7 +236,7 @@ def jaccard_components(docs: DataFrame, n: int = 3, part: int = 90, whole: int =
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, classes = WordHashes(), Classes(part, whole)
-        for batch in batches:
+        for batch in slices(batches):
             sizes, nodes, keys = [], [], []
             for text in batch.column(1).to_pylist():
                 own = shingles(text, words, n)
@@ -254,7 +261,7 @@ def jaccard_components(docs: DataFrame, n: int = 3, part: int = 90, whole: int =
 
     def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = WordHashes()
-        for batch in batches:
+        for batch in slices(batches):
             sets = [shingles(t, words, n) for t in batch.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([s.tobytes() for s in sets], pa.binary())], ["node", "branch", "members"])
 
