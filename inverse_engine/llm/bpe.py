@@ -15,7 +15,6 @@ O(n log n).
 from __future__ import annotations
 
 import base64
-import re
 from collections.abc import Iterable
 
 import numpy as np
@@ -27,14 +26,14 @@ LONG = 128
 REMEMBERED = 600_000
 
 
-#: A space that isn't alone between two other characters.
-_crowded = re.compile(r" (?:\s|$)|^ ").search
+# A space before other white space, which no part may begin with.
+CROWDED = tuple(" " + chr(c) for c in (*range(9, 14), *range(28, 32), 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000))
 
 
 def chunks(text: str) -> list[str]:
     """The first part of the text, then the others without the single space that stood before each."""
     parts = text.split(" ")
-    if _crowded(text) is None:
+    if "" not in parts and not any(c in text for c in CROWDED):
         return parts
     out = [parts[0]]
     for p in parts[1:]:

@@ -13,6 +13,7 @@ from __future__ import annotations
 
 import heapq
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -21,13 +22,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from inverse_engine.llm.bpe import chunks
 from inverse_engine.llm.common import materialise, ship
 
 #: Ids in a sequence at most; ids in a piece of a rest at most; pieces in a group, about.
-CAPACITY, PIECE, GROUP = 2048, 400, 2000
+CAPACITY, PIECE, GROUP = 2048, 1024, 600
 #: Entries that a worker remembers of words and their ids.
-REMEMBERED = 600_000
-BATCH_CHARS = 4_000_000
+REMEMBERED = 350_000
+BATCH_CHARS = 3_000_000
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, deal long"
 
 
@@ -99,23 +101,52 @@ class WordIds:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.memory: dict[str, bytes] = {}
+        self.line_end, *marks = self._fresh(["\n", *".,"])
+        self.marks = dict(zip(".,", marks, strict=True))
 
     def _fresh(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, dtype="<u4").tobytes() for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
+        return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
+
+    def _learn(self, new: list[str]) -> None:
+        """Ids of " " + each of `new`. A mark after a letter, and a line end between two other characters, are matches of their own."""
+        plans: list[tuple[str, list]] = []
+        wanted: dict[tuple[bool, str], bytes | None] = {}
+        for c in new:
+            lines = c.split("\n")
+            if len(lines) > 1 and not all(x and not x[0].isspace() and not x[-1].isspace() for x in lines):
+                lines = [c]
+            plan: list = []
+            for i, x in enumerate(lines):
+                if i:
+                    plan.append(self.line_end)
+                tail = self.marks.get(x[-1]) if len(x) > 1 and x[-2].isalpha() else None
+                key = (i == 0, x if tail is None else x[:-1])
+                if key not in wanted:
+                    wanted[key] = self.memory.get(key[1]) if i == 0 else None
+                plan.append(key)
+                if tail is not None:
+                    plan.append(tail)
+            plans.append((c, plan))
+        missing = [k for k, v in wanted.items() if v is None]
+        for key, ids in zip(missing, self._fresh([" " + x if spaced else x for spaced, x in missing]), strict=True):
+            wanted[key] = ids
+            if key[0]:
+                self.memory[key[1]] = ids
+        for c, plan in plans:
+            self.memory[c] = b"".join([x if type(x) is bytes else wanted[x] for x in plan])
 
     def __call__(self, texts: list[str | None]) -> list[bytes]:
-        from inverse_engine.llm.bpe import chunks
-
+        """`memory` holds " " + its keys, as that is how all but first parts read."""
         split = [chunks(t) if t else [] for t in texts]
-        seen = set().union(*[p[1:] for p in split])
-        new = list(seen.difference(self.memory))
-        if len(self.memory) + len(new) > REMEMBERED:
-            self.memory = {k: self.memory[k] for k in seen if k in self.memory}
-        self.memory.update(zip(new, self._fresh([" " + c for c in new]), strict=True))
         first = list({p[0] for p in split if p})
         head = dict(zip(first, self._fresh(first), strict=True))
-        get = self.memory.__getitem__
-        return [head[p[0]] + b"".join(map(get, p[1:])) if p else b"" for p in split]
+        if len(self.memory) > REMEMBERED:
+            seen = set().union(*split)
+            self.memory = {k: self.memory[k] for k in seen if k in self.memory}
+        found = [[head[p[0]], *map(self.memory.get, p[1:])] if p else [] for p in split]
+        self._learn(list({c for p, f in zip(split, found, strict=True) if None in f for c, x in zip(p, f, strict=True) if x is None}))
+        memory = self.memory
+        return [b"".join(f if None not in f else [memory[c] if x is None else x for c, x in zip(p, f, strict=True)]) for p, f in zip(split, found, strict=True)]
 
 
 _coders: dict[str, WordIds] = {}
