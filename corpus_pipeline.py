@@ -26,11 +26,10 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose calibrated quality probability is 0.7 or more. What the rules left may hold labels of one kind only:
     then the classifier has nothing to tell apart, and it keeps all."""
-    labels = table(spark, sf_dir, "labels").where(F.col("quality").isNotNull())
-    kinds = {r["quality"] for r in labels.join(docs.select("doc_id"), "doc_id").select("quality").distinct().collect()}
-    if len(kinds) < 2:
+    model = quality_net.learn_all(docs, table(spark, sf_dir, "labels"))
+    if model is None:
         return docs.select(*COLUMNS)
-    scored = quality_net.score(docs, quality_net.learn(docs, labels), *COLUMNS)
+    scored = quality_net.score(docs, model, *COLUMNS)
     return scored.where(F.col("score") >= 0.7).select(*COLUMNS)
 
 

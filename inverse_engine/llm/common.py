@@ -108,3 +108,14 @@ def labelled_sample(labels: DataFrame, target: str, most: int) -> DataFrame:
     total = labels.count()
     share = max(1, -(-total // most))
     return clean.where(F.pmod(F.xxhash64("doc_id", F.lit(17)), F.lit(share)) == 0)
+
+
+def labelled_by_class(labels: DataFrame, target: str, most: int) -> tuple[DataFrame, dict[int, int]]:
+    """(doc_id, y) as labelled_sample, but each of the two kinds is thinned by itself, to about half of `most`: a rare kind stays whole.
+    Beside it, one row in how many was taken of each kind."""
+    clean = labels.where(F.col("doc_id").isNotNull() & F.col(target).isNotNull()).groupBy("doc_id").agg(F.max(target).cast("int").alias("y"))
+    shares = {r["y"]: max(1, -(-r["count"] // max(1, most // 2))) for r in clean.groupBy("y").count().collect()}  # two rows
+    share = F.lit(1)
+    for y, k in shares.items():
+        share = F.when(F.col("y") == y, k).otherwise(share)
+    return clean.where(F.pmod(F.xxhash64("doc_id", F.lit(17)), share) == 0), shares

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from inverse_engine.llm.common import fold, labelled_sample, materialise, one_thread, ship
+from inverse_engine.llm.common import fold, labelled_by_class, labelled_sample, materialise, one_thread, ship
 
 #: Rows for words and for shapes, width of the vectors, non-zeros of an index vector, hidden units.
 WORD_ROWS, SHAPE_ROWS, WIDTH, NONZERO, HIDDEN = 6144, 2048, 32, 4, 32
@@ -222,16 +222,49 @@ class Model:
     net: Net
 
 
+def _fitting_rows(docs: DataFrame, sample: DataFrame, vectors: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Features and labels of the documents of a bounded sample, shuffled by a hash of the id."""
+    shared = docs.sparkSession.sparkContext.broadcast(vectors)  # ROWS x WIDTH floats
+    train = materialise(featured(docs.select("doc_id", "text").join(F.broadcast(sample), "doc_id"), shared, "doc_id", "y"), "quality-train")
+    rows = train.orderBy(F.xxhash64("doc_id"), "doc_id").collect()  # bounded by the sample's `most`
+    return np.array([r["x"] for r in rows], dtype=np.float64).reshape(len(rows), SIZE), np.array([r["y"] for r in rows], dtype=float)
+
+
 def learn(docs: DataFrame, labels: DataFrame, folds: int = 4, out: int = 2, most: int = MOST_LABELLED) -> Model:
     ship(docs.sparkSession)
     vectors = corpus_vectors(docs)
-    sample = labelled_sample(labels.where(fold("doc_id", folds) != out), "quality", most)
-    shared = docs.sparkSession.sparkContext.broadcast(vectors)  # ROWS x WIDTH floats
-    train = materialise(featured(docs.select("doc_id", "text").join(F.broadcast(sample), "doc_id"), shared, "doc_id", "y"), "quality-train")
-    rows = train.orderBy(F.xxhash64("doc_id"), "doc_id").collect()  # bounded by `most`
-    x = np.array([r["x"] for r in rows], dtype=np.float64).reshape(len(rows), SIZE)
-    y = np.array([r["y"] for r in rows], dtype=float)
-    return Model(vectors, train_net(x, y) if rows else train_net(np.zeros((1, SIZE)), np.zeros(1)))
+    x, y = _fitting_rows(docs, labelled_sample(labels.where(fold("doc_id", folds) != out), "quality", most), vectors)
+    return Model(vectors, train_net(x, y) if len(y) else train_net(np.zeros((1, SIZE)), np.zeros(1)))
+
+
+def fifths_by_class(y: np.ndarray) -> tuple[np.ndarray, int]:
+    """An order whose last fifth, which train_net holds back, takes a fifth of each kind at most, and the number held back.
+    The rarer kind comes first, so that it is among the rows that are fitted."""
+    kinds = sorted((np.flatnonzero(y == k) for k in (0, 1)), key=len)
+    cuts = [len(k) - len(k) // 5 for k in kinds]
+    return np.concatenate([*(k[:c] for k, c in zip(kinds, cuts, strict=True)), *(k[c:] for k, c in zip(kinds, cuts, strict=True))]), len(y) // 5
+
+
+def learn_all(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELLED) -> Model | None:
+    """From the labels of docs in all folds, each kind bounded by itself; None where they are of one kind.
+
+    The kinds may be thinned unequally: the constant puts back their shares among the labels of docs."""
+    ship(docs.sparkSession)
+    sample, shares = labelled_by_class(labels.join(docs.select("doc_id"), "doc_id", "left_semi"), "quality", most)
+    if len(shares) < 2:
+        return None
+    sample = materialise(sample, "quality-sample")
+    vectors = corpus_vectors(docs)
+    x, y = _fitting_rows(docs, sample, vectors)
+    order, held = fifths_by_class(y)
+    x, y = x[order], y[order]
+    if len(set(y[: len(y) - held])) < 2:
+        return None
+    net = train_net(x, y)
+    if len(set(y[len(y) - held :])) < 2:
+        net.temperature = 1.0  # one kind cannot set it
+    net.b2 += net.temperature * float(np.log(shares[1] / shares[0]))
+    return Model(vectors, net)
 
 
 def score(docs: DataFrame, model: Model, *keep: str) -> DataFrame:

@@ -1,8 +1,12 @@
 """The pipeline's stages on a small table: decisions take effect, columns stay, whole texts are packed."""
 
+import zlib
+
+import numpy as np
+
 import corpus_pipeline
-from inverse_engine.llm import packing
-from inverse_engine.llm.common import materialise, table
+from inverse_engine.llm import packing, quality_net
+from inverse_engine.llm.common import labelled_by_class, materialise, table
 
 SF = "/root/testdata/sf0.001"
 
@@ -26,3 +30,25 @@ def test_empty_table(spark):
     for _, stage in corpus_pipeline.STAGES:
         docs = materialise(stage(spark, docs, SF), "test-empty")
     assert docs.count() == 0
+
+
+def test_classifier_uses_rare_labels_of_every_fold(spark, tmp_path):
+    docs = table(spark, SF, "documents").where("doc_id is not null")
+    ids = sorted(r["doc_id"] for r in docs.select("doc_id").distinct().collect())
+    bad = [d for d in ids if zlib.crc32(str(d).encode()) % 4 == 2][:2]
+    spark.createDataFrame([(d, int(d not in bad), 0) for d in ids], "doc_id long, quality int, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    kept = {r["doc_id"] for r in corpus_pipeline.quality_classifier(spark, docs, str(tmp_path)).select("doc_id").collect()}
+    assert len(kept) >= 0.9 * len(ids)
+    one = tmp_path / "one"
+    spark.createDataFrame([(d, 1, 0) for d in ids] + [(-1, 0, 0)], "doc_id long, quality int, toxic int").write.parquet(str(one / "labels.parquet"))
+    assert corpus_pipeline.quality_classifier(spark, docs, str(one)).count() == docs.count()
+
+
+def test_rare_labels_are_not_thinned(spark):
+    labels = spark.range(5000).selectExpr("id as doc_id", "cast(id % 1000 != 0 as int) as quality")
+    sample, shares = labelled_by_class(labels, "quality", 400)
+    counts = {r["y"]: r["count"] for r in sample.groupBy("y").count().collect()}
+    assert counts[0] == 5 and shares[0] == 1 and 100 <= counts[1] <= 300
+    for y in (np.array([1.0] * 40 + [0.0]), np.array([0.0, 1, 1, 1, 1])):
+        order, held = quality_net.fifths_by_class(y)
+        assert sorted(order) == list(range(len(y))) and set(y[order][: len(y) - held]) == {0.0, 1.0}
