@@ -177,6 +177,24 @@ def test_span_dedup_removes_a_pasted_passage(spark):
         assert "wp3q" not in got[i] and "ws3q" not in got[i] and f"w{i}3q" in got[i]
 
 
+def test_span_dedup_removes_a_passage_inside_long_sentences(spark):
+    words = lambda seed, n: " ".join(f"w{seed}{i}q" for i in range(n))
+    for passage in (words("p", 51), words("p", 26) + ". " + words("r", 25), " ".join(f"क{i}" for i in range(20)) + " ख। " + words("p", 30), words("p", 24) + ". One. " + words("r", 26)):
+        rows = [(i, f"own {words(i, 40)} {passage} {words(-i - 1, 40)}.") for i in range(3)]
+        got = {r["doc_id"]: r["text"] for r in sentence_spans.dedup_spans(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+        assert got[0] == rows[0][1]
+        for i in (1, 2):
+            left = set(got[i].split())
+            assert len([w for w in passage.split() if w in left]) <= sentence_spans.LONG - sentence_spans.GRAM
+            assert set(rows[i][1].split()) - set(passage.split()) <= left
+
+
+def test_span_runs_reach_a_passage_end():
+    text = "Aa b c d e f g h i. Bb c d e f. Cc d. Own words then."
+    hashes, first, last = sentence_spans.spans(text)
+    assert 15 in last  # the run that ends with the short sentence
+
+
 def brute_components(rows, n, part, whole):
     sets = []
     for _, t in rows:
