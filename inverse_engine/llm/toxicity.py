@@ -6,7 +6,7 @@ it, and the best path gives the clause a weight and a reading (plain, aimed, den
 function of its clauses' weights and readings.
 
 Insults are learned: words, and word beginnings, whose presence in labelled toxic texts is far above that in others; one text
-of each family of near copies counts. Targets, negations, threats and verbs of speech are the fixed lists below.
+of each set of words counts. Targets, negations, threats and verbs of speech are the fixed lists below.
 
 Edge cases: null and empty texts have no clause and get the lowest score; repeated rows score alike; without usable labels
 no word is an insult, and the fixed weights stand; extra columns are ignored; whole texts of any length are read.
@@ -16,12 +16,12 @@ from __future__ import annotations
 
 import math
 import re
-import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -164,8 +164,8 @@ def _texts(batch: pa.RecordBatch, name: str) -> list[str | None]:
 
 
 def _family(words: set[str]) -> int:
-    """Near copies mostly agree in the least hash of their longer words."""
-    return min((zlib.crc32(w.encode()) for w in words if len(w) > 4), default=0)
+    """Texts of one set of words are copies."""
+    return xxhash.xxh3_64_intdigest("\n".join(sorted(words))) - (1 << 63)
 
 
 def learn_lexicon(train: DataFrame, most: int = MOST_ENTRIES) -> dict[str, float]:

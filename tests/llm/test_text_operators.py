@@ -285,6 +285,17 @@ def test_toxicity(spark, docs, awkward, empty):
     assert toxicity.learn(docs, labels.limit(0)).lexicon == {}
 
 
+def test_toxicity_learns_from_unlike_texts_that_share_a_word(spark):
+    # One frequent word of least hash, and texts without any long word: each text still counts.
+    common = min(("".join(random.Random(i).choices("abcdefgh", k=6)) for i in range(400)), key=lambda w: zlib.crc32(w.encode()))
+    clean = [(f"{common} q{a}{b} z{b}{a}", 0) for a in "abcdefghij" for b in "klmnopqrst"]
+    toxic = [(f"{common} grobz {a} m{a}", 1) for a in "uvwxyzabcd"] + [(f"snek {a} p{a}", 1) for a in "efghijklmn"]
+    rows = clean + [(t + " x", y) for t, y in clean] + toxic
+    lexicon = toxicity.learn_lexicon(spark.createDataFrame(rows, "text string, y int"))
+    assert {"grobz", "snek"} <= set(lexicon) and common not in lexicon
+    assert toxicity._family({"a", "b"}) == toxicity._family({"b", "a"}) != toxicity._family({"a", "c"})
+
+
 def test_toxicity_readings():
     scorer = toxicity.Scorer({"fool": 4.0, "idio*": 5.0})
     read = lambda t: scorer.clause([s for w in t.split() for s in scorer.read(w)[0]])
