@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import atexit
 import os
+import re
 import tempfile
 import uuid
 import zipfile
@@ -28,10 +29,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none (tests on one machine)."""
+    """The folder that driver and executors share; a temporary one only where the session names none and all runs on one machine."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named
+    if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     own = getattr(spark.sparkContext, "_inverse_engine_dir", None)
     if own is None:
         own = "file://" + tempfile.mkdtemp(prefix="inverse-engine-")
@@ -54,14 +57,37 @@ def _delete_all() -> None:
 def materialise(df: DataFrame, name: str) -> DataFrame:
     """Write a step as Parquet to the shared folder and read it back: lineage is cut, and lost executors lose nothing.
 
-    The files go when the driver's process ends."""
+    The files go by discard(), or when the driver's process ends."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     if not _written:
         atexit.register(_delete_all)
     _written.append((spark, path))
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    step = spark.read.schema(df.schema).parquet(path)
+    step._step_path = path
+    return step
+
+
+def discard(*steps: DataFrame) -> None:
+    """Delete written steps that nothing reads any more."""
+    gone = {step._step_path for step in steps}
+    for spark, path in [w for w in _written if w[1] in gone]:
+        _delete(spark, path)
+        _written.remove((spark, path))
+
+
+def steps() -> frozenset[str]:
+    """The steps that there are, for discard_since."""
+    return frozenset(path for _, path in _written)
+
+
+def discard_since(before: frozenset[str], *kept: DataFrame) -> None:
+    """Delete the steps that were written after `before` was taken, but for `kept`."""
+    safe = before | {step._step_path for step in kept}
+    for spark, path in [w for w in _written if w[1] not in safe]:
+        _delete(spark, path)
+        _written.remove((spark, path))
 
 
 def ship(spark: SparkSession) -> None:

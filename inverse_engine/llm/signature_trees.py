@@ -2,9 +2,12 @@
 
 A document is the set of its word shingles, hashed to 64 bits. Equal sets are one node. Trees are rooted in the cluster:
 
-* Root levels. Sizes fall into classes. Two sets that link differ in few shingles, so if a class deals shingles into more
-  slices than that, they agree on one slice at least: nodes that agree on a slice (in a class that both may meet in) share
-  a cell, and cells that share a node share a branch. Each branch is one tree (a long branch: several, see below).
+* Root levels. Sizes fall into classes; a class is where a set of its sizes meets the larger sets that it may link with. Two sets
+  that link differ in at most D shingles there. Shingles are dealt by hash into slices, and nodes that agree on a slice of two
+  shingles or more share a cell. Small classes have D + 1 slices, so that linked sets agree on one, and a slice with less in it
+  is asked for together with each slice of a second dealing. Large classes have as many slices, in as many dealings, as leave a
+  pair that links a chance below MISSED to agree on none (the order of a collision of hashes). Cells that share a node share a
+  branch. Each branch is one tree (a long branch: several, see below).
 * Inner levels. A tree's leaves hold a few similar sets; every node holds the OR of its sets' bitmaps and their range of
   sizes. The traversal walks pairs of nodes and drops a pair whose sizes cannot meet the threshold, whose common bits
   cannot hold the overlap that it needs, or whose members are all linked already. Sets that are left are compared whole.
@@ -14,8 +17,9 @@ BRANCH nodes is dealt into parts; each part also holds the branch's first node.
 one's group, these are joined with all parts, part by part. No link is lost on any of these ways.
 
 Edge cases: null, empty and blank texts have the empty set and link with nothing, not even each other; texts of one or two
-words are one shingle; repeated rows are one node; a null id is never a component's smallest id unless all its ids are null;
-an empty table gives an empty result; extra columns are ignored.
+words are one shingle; repeated rows are one node; rows that share an id but not the text are nodes of their own; a null id links
+like any other and is never a component's smallest id unless all its ids are null; an empty table gives an empty result; extra
+columns are ignored.
 """
 
 from __future__ import annotations
@@ -29,15 +33,17 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from inverse_engine.llm.common import materialise, ship
+from inverse_engine.llm.common import discard, materialise, ship
 from inverse_engine.llm.components import components
 
 #: Ratio of the bounds of a size class; nodes of a part of a branch; sets of a leaf; children of a tree node.
-CLASS_RATIO, BRANCH, LEAF, FANOUT = 1.35, 192, 6, 4
-#: Up to so many slices, one with a single shingle counts as poor, above it only an empty one.
-MANY_SLICES = 128
+CLASS_RATIO, BRANCH, LEAF, FANOUT = 1.3, 192, 6, 4
+#: Up to so many differences, slices are exhaustive; the chance that a link at the very threshold shares no cell, above it.
+FEW_DIFFERENCES, MISSED = 16, 1e-12
 #: Words that a worker remembers; up to so many nodes are broadcast to fetch their texts, more are joined by exchange.
 REMEMBERED, MOST_BROADCAST = 120_000, 200_000
+#: Stands for a null id where rows are found again.
+NO_ID = -(1 << 63)
 _A, _B, _C = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9)
 
 
@@ -83,7 +89,9 @@ def identity(own: np.ndarray) -> int:
 
 
 class Classes:
-    """Size classes and the number of slices in each, for a threshold of `part` in `whole`."""
+    """Size classes, and how the shingles of the sets that meet in each are dealt, for a threshold of `part` in `whole`.
+
+    Class j is where a set of low[j] to low[j + 1] - 1 shingles meets sets of its size or larger."""
 
     def __init__(self, part: int, whole: int):
         self.part, self.whole = part, whole
@@ -91,32 +99,48 @@ class Classes:
         while low[-1] < 1 << 31:
             low.append(max(low[-1] + 1, int(np.ceil(low[-1] * CLASS_RATIO))))
         self.low = np.array(low)
-        # Linked sets of at most h shingles differ in at most 2h(1-t)/(1+t).
-        self.slices = [2 * (h - 1) * (whole - part) // (whole + part) + 1 for h in low[1:]]
+        self.plans = [self._plan(j) for j in range(len(low) - 1)]
+
+    def _plan(self, j: int) -> tuple[int, int, bool]:
+        """Slices, dealings, and whether D + 1 slices leave nothing to chance; no slices where only equal sets link."""
+        small = int(self.low[j + 1]) - 1
+        # |A| + |B| - 2 |A & B| is at most (|A| + |B|) (1 - t) / (1 + t).
+        most = (small + small * self.whole // self.part) * (self.whole - self.part) // (self.whole + self.part)
+        if most == 0:
+            return 0, 0, True
+        if most < FEW_DIFFERENCES:
+            return most + 1, 1, True
+        m = np.unique(np.geomspace(max(4, most // 24), most + 1, 400).astype(np.int64)).astype(np.float64)
+        mean = self.low[j] / m
+        poor = np.exp(-mean) * (1 + mean)
+        rich = np.maximum(m * (1 - poor) - 2 * np.sqrt(m * poor), 0)
+        # All rich slices must hold a difference for a link to go unseen in one dealing.
+        dealings = np.ceil(np.log(MISSED) / np.minimum(rich * np.log1p(-np.exp(most * np.log1p(-1 / m))), -1e-9))
+        at = int(np.argmin(m * dealings))
+        return int(m[at]), int(dealings[at]), False
 
     @staticmethod
-    def _slice_keys(dealt: np.ndarray, own: np.ndarray, m: int, j: int) -> tuple[np.ndarray, np.ndarray]:
+    def _slice_keys(own: np.ndarray, m: int, j: int, turn: int) -> tuple[np.ndarray, np.ndarray]:
+        dealt = own if turn == 0 else mixed(own ^ (_C * np.array([2 * turn + 1], dtype=np.uint64)))
         place = (dealt % np.uint64(m)).astype(np.int64)
         sums = np.zeros(m, dtype=np.uint64)
         np.add.at(sums, place, mixed(own ^ _A))
-        return mixed(sums * _C + np.arange(m, dtype=np.uint64) * _B + np.array([j + 1], dtype=np.uint64) * _A), np.bincount(place, minlength=m)
+        return mixed(sums * _C + np.arange(m, dtype=np.uint64) * _B + np.array([16 * (j + 1) + turn], dtype=np.uint64) * _A), np.bincount(place, minlength=m)
 
     def keys(self, own: np.ndarray) -> np.ndarray:
-        """The cells of a set: one for each slice, in its class, and in the next if its size may meet that."""
-        at = int(np.searchsorted(self.low, len(own), side="right")) - 1
-        out = []
-        for j in (at, at + 1):
-            if j > at and len(own) * self.whole < self.part * int(self.low[j]):
-                break
-            m = self.slices[j]
-            keys, counts = self._slice_keys(own, own, m, j)
-            poor = counts <= (1 if m <= MANY_SLICES else 0)
-            out.append(keys[~poor])
-            if poor.any():
-                # Unlike sets meet in slices with next to nothing in them. Sets that link agree on a slice of any other dealing too,
-                # so such a slice is asked for together with each slice of a second dealing.
-                again, _ = self._slice_keys(mixed(own ^ _C), own, m, j)
-                out.append(mixed(keys[poor][:, None] * _A + again[None, :] * _B).ravel())
+        """The cells of a set, in its own class and in the classes of the smaller sets that it may link with."""
+        j = int(np.searchsorted(self.low, len(own), side="right")) - 1
+        out = [np.array([], dtype=np.uint64)]
+        while j >= 0 and len(own) * self.part <= self.whole * (int(self.low[j + 1]) - 1):
+            m, dealings, exhaustive = self.plans[j]
+            for turn in range(dealings):
+                keys, counts = self._slice_keys(own, m, j, turn)
+                poor = counts <= 1  # unlike sets meet in slices with next to nothing in them
+                out.append(keys[~poor])
+                if exhaustive and poor.any():
+                    again, _ = self._slice_keys(own, m, j, 1)
+                    out.append(mixed(keys[poor][:, None] * _A + again[None, :] * _B).ravel())
+            j -= 1
         return np.concatenate(out).view(np.int64)
 
 
@@ -229,9 +253,10 @@ def _joined(frame: pd.DataFrame, part: int, whole: int) -> pd.DataFrame:
 
 
 def jaccard_components(docs: DataFrame, n: int = 3, part: int = 90, whole: int = 100) -> DataFrame:
-    """(doc_id, n_shingles, node, component_id, component_node): component_id is the least doc_id that links reach.
+    """(doc_id, n_shingles, place, node, component_id, component_place, component_node): component_id is the least doc_id that links reach.
 
-    Two documents link when whole * |intersection| >= part * |union|. node and component_node are null for empty sets."""
+    Two documents link when whole * |intersection| >= part * |union|. node and component_node are null for empty sets. place is
+    xxhash64(text); component_id and component_place together name one row (or its repetitions) of the component."""
     ship(docs.sparkSession)
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -245,28 +270,36 @@ def jaccard_components(docs: DataFrame, n: int = 3, part: int = 90, whole: int =
                 keys.append(classes.keys(own) if len(own) else np.array([], dtype=np.int64))
             offsets = np.concatenate([[0], np.cumsum([len(k) for k in keys])]).astype(np.int32)
             cells = pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(np.concatenate(keys) if keys else np.array([], dtype=np.int64), pa.int64()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(nodes, pa.int64()), cells], ["doc_id", "n_shingles", "node", "cells"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), batch.column(2), pa.array(nodes, pa.int64()), cells], ["doc_id", "n_shingles", "place", "node", "cells"])
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    signed = materialise(rows.mapInArrow(sign, "doc_id long, n_shingles long, node long, cells array<long>"), "jaccard-signed")
+    # `place` finds a row again: a hash of its text; rows of one text are one node.
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("place"))
+    signed = materialise(rows.mapInArrow(sign, "doc_id long, n_shingles long, place long, node long, cells array<long>"), "jaccard-signed")
     dealt = signed.where(F.col("node").isNotNull()).select("node", F.explode("cells").alias("cell"))
     shared = materialise(dealt.groupBy("cell").agg(F.min("node").alias("first"), F.max("node").alias("last")).where(F.col("first") != F.col("last")).drop("last"), "jaccard-cells")
     meeting = dealt.join(shared, "cell").where(F.col("node") != F.col("first")).select(F.col("node").alias("a"), F.col("first").alias("b"))
     branches = materialise(components(meeting, "jaccard-branches"), "jaccard-nodes")  # (node, label)
+    cells, signed = signed, materialise(signed.drop("cells"), "jaccard-rows")
+    discard(cells, shared)
 
-    # One text for each node of a branch, and its set again from that text.
-    wanted = materialise(signed.where(F.col("node").isNotNull()).groupBy("node").agg(F.min("doc_id").alias("doc_id")).join(branches, "node"), "jaccard-wanted")
-    few = wanted.count() <= MOST_BROADCAST
-    texts = rows.withColumnRenamed("doc_id", "id").join(F.broadcast(wanted) if few else wanted, F.col("id") == F.col("doc_id"))
+    # One text for each node of a branch, and its set again from that text. An id says nothing here: it may be null or repeat.
+    one = F.min(F.struct("place", F.coalesce("doc_id", F.lit(NO_ID)).alias("id"))).alias("one")
+    wanted = materialise(signed.where(F.col("node").isNotNull()).groupBy("node").agg(one).join(branches, "node").select("node", "label", F.col("one.place").alias("place"), F.col("one.id").alias("id")), "jaccard-wanted")
+    known_nodes = wanted.count()
+    few = known_nodes <= MOST_BROADCAST
+    texts = rows.withColumn("id", F.coalesce("doc_id", F.lit(NO_ID))).drop("doc_id").join(F.broadcast(wanted) if few else wanted, ["place", "id"])
 
     def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = WordHashes()
+        words, done = WordHashes(), set()
         for batch in slices(batches):
-            sets = [shingles(t, words, n) for t in batch.column(2).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([s.tobytes() for s in sets], pa.binary())], ["node", "branch", "members"])
+            own = [(n_, b, t) for n_, b, t in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True) if not (n_ in done or done.add(n_))]
+            sets = [shingles(t, words, n) for _, _, t in own]
+            yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in own], pa.int64()), pa.array([x[1] for x in own], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], ["node", "branch", "members"])
 
     nodes = texts.select("node", F.col("label").alias("branch"), "text").mapInArrow(fetch, "node long, branch long, members binary")
-    nodes = materialise(nodes, "jaccard-sets")
+    nodes = materialise(texts.select("node", F.col("label").alias("branch"), "text").mapInArrow(fetch, "node long, branch long, members binary"), "jaccard-sets")
+    if nodes.count() > known_nodes:  # rows that repeat both id and text came once a task
+        nodes = materialise(nodes.dropDuplicates(["node"]), "jaccard-sets-once")
     parts = materialise(branches.groupBy("label").agg(F.ceil(F.count("*") / BRANCH).cast("int").alias("parts")).withColumnRenamed("label", "branch"), "jaccard-parts")
     placed = nodes.join(parts, "branch").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int"))
     placed = materialise(placed, "jaccard-placed")
@@ -291,11 +324,14 @@ def jaccard_components(docs: DataFrame, n: int = 3, part: int = 90, whole: int =
         links = links.unionByName(more)
 
     grouped = materialise(components(links, "jaccard-components"), "jaccard-labels")
-    classes = materialise(signed.where(F.col("node").isNotNull()).groupBy("node").agg(F.min("doc_id").alias("least")), "jaccard-classes")
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "place")).alias("first")
+    classes = materialise(signed.where(F.col("node").isNotNull()).groupBy("node").agg(first), "jaccard-classes")
     labelled = materialise(classes.join(grouped, "node", "left").withColumn("label", F.coalesce("label", "node")), "jaccard-labelled")
-    least = materialise(labelled.groupBy("label").agg(F.min("least").alias("component_id")), "jaccard-least")
-    named = materialise(labelled.join(least, "label").select("node", "component_id", F.col("label").alias("component_node")), "jaccard-named")
-    kept = ("doc_id", "n_shingles", "node")
-    out = signed.where(F.col("node").isNotNull()).select(*kept).join(named, "node").select(*kept, "component_id", "component_node")
-    blank = signed.where(F.col("node").isNull()).select(*kept, F.col("doc_id").alias("component_id"), F.lit(None).cast("long").alias("component_node"))
+    least = materialise(labelled.groupBy("label").agg(F.min("first").alias("first")), "jaccard-least")
+    named = labelled.drop("first").join(least, "label").select("node", F.col("first.doc_id").alias("component_id"), F.col("first.place").alias("component_place"), F.col("label").alias("component_node"))
+    named = materialise(named, "jaccard-named")
+    kept = ("doc_id", "n_shingles", "place", "node")
+    out = signed.where(F.col("node").isNotNull()).select(*kept).join(named, "node").select(*kept, "component_id", "component_place", "component_node")
+    none = F.lit(None).cast("long")
+    blank = signed.where(F.col("node").isNull()).select(*kept, F.col("doc_id").alias("component_id"), F.col("place").alias("component_place"), none.alias("component_node"))
     return out.unionByName(blank)

@@ -3,6 +3,7 @@
 import zlib
 
 import numpy as np
+from pyspark.sql import functions as F
 
 import corpus_pipeline
 from inverse_engine.llm import packing, quality_net
@@ -25,6 +26,15 @@ def test_stages(spark):
     assert packed.groupby("sequence_id")["length"].sum().max() <= packing.CAPACITY
 
 
+def test_near_duplicates_with_null_and_repeated_ids(spark):
+    words = [f"w{i}" for i in range(80)]
+    a, b, other = " ".join(words), " ".join([*words[:-1], "end"]), "another text that is its own one here"
+    rows = [(None, a), (4, b), (4, b), (7, a), (9, other), (9, "a text of its own under the same id"), (None, None), (12, None), (None, other + " x y"), (None, other + " x y")]
+    docs = spark.createDataFrame([(d, t, "en", "s", 1) for d, t in rows], "doc_id long, text string, lang string, source string, n_chars long").withColumn("place", F.lit(1))
+    got = [(r["doc_id"], r["text"]) for r in corpus_pipeline.near_duplicates(spark, docs.drop("place"), SF).collect()]
+    assert sorted(got, key=str) == sorted([(4, b), (9, other), (9, "a text of its own under the same id"), (None, None), (12, None), (None, other + " x y")], key=str)
+
+
 def test_empty_table(spark):
     docs = table(spark, SF, "documents").limit(0)
     for _, stage in corpus_pipeline.STAGES:

@@ -238,6 +238,53 @@ def test_jaccard_components(spark, branch, monkeypatch):
         assert got == brute_components(rows, n, part, 100)
 
 
+def chain(n, size=60):
+    """Texts of which only neighbours link: each changes the last word of the one before, and the next the first."""
+    words, out = [f"w{i}" for i in range(size)], []
+    for i in range(n):
+        out.append(" ".join(words))
+        words = list(words)
+        words[-1 if i % 2 else 0] = f"new{i}"
+    return out
+
+
+def test_jaccard_null_and_repeated_ids(spark):
+    a, b, c = chain(3)
+    for rows, want in (
+        ([(1, a), (None, b), (3, c)], {1: 1, None: 1, 3: 1}),
+        ([(None, a), (None, b)], {None: None}),
+        ([(1, a), (1, "quite another text of its own"), (2, b)], {1: 1, 2: 1}),
+        ([(1, "quite another text of its own"), (1, a), (2, b)], {1: 1, 2: 1}),
+        ([(5, a), (5, a), (2, b)], {5: 2, 2: 2}),
+    ):
+        frame = spark.createDataFrame(rows, "doc_id long, text string")
+        got = [(r["doc_id"], r["component_id"]) for r in signature_trees.jaccard_components(frame).collect()]
+        assert len(got) == len(rows) and set(got) == set(want.items()), rows
+
+
+def test_jaccard_dealings_by_chance_lose_nothing(spark, monkeypatch):
+    # Classes that leave pairs a small chance, and pairs at the very threshold: 300 texts of 48 to 400 shingles, each with three near ones.
+    monkeypatch.setattr(signature_trees, "FEW_DIFFERENCES", 3)
+    rng, rows = random.Random(8), []
+    for i in range(75):
+        words = [f"v{i}x{j}" for j in range(rng.randint(50, 400))]
+        for _ in range(4):
+            rows.append((len(rows), " ".join(words)))
+            words = list(words)
+            for _ in range(rng.randint(0, max(1, len(words) // 46))):
+                words[rng.randrange(len(words))] = f"z{rng.random()}"
+    for n, part in ((3, 90), (5, 80)):
+        got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in signature_trees.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string"), n, part).collect()}
+        assert got == brute_components(rows, n, part, 100)
+        assert 75 < len({c for _, c in got.values()}) < 300
+
+
+def test_jaccard_on_the_table(spark, docs):
+    rows = [tuple(r) for r in docs.select("doc_id", "text").collect()]
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in signature_trees.jaccard_components(docs, 5, 80).collect()}
+    assert got == brute_components(rows, 5, 80, 100)
+
+
 def test_jaccard_awkward(spark, awkward, empty):
     got = {(r["doc_id"], r["component_id"]) for r in signature_trees.jaccard_components(awkward).collect()}
     assert {(5, 5), (6, 5), (1, 1), (2, 2), (None, None)} <= got
