@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from inverse_engine.llm import decision_list, packing, quality_net, sentence_spans, signature_trees
-from inverse_engine.llm.common import materialise, table
+from inverse_engine.llm.common import discard_since, materialise, steps, table
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
@@ -36,11 +36,21 @@ def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document, that of the least id, of each group under links of similarity 0.8 of five-word shingles.
 
-    Documents without words stay; among rows that repeat the least id, one stays."""
-    found = materialise(signature_trees.jaccard_components(docs, n=5, part=80, whole=100), "pipeline-components")
-    keep = found.where(F.col("node").isNull() | (F.col("doc_id") == F.col("component_id"))).select("doc_id").distinct()
-    chosen = docs.join(keep, "doc_id", "left_semi").groupBy("doc_id").agg(F.min(F.struct("text", "lang", "source", "n_chars")).alias("d"))
-    return chosen.select("doc_id", "d.*").unionByName(docs.where(F.col("doc_id").isNull()).select(*COLUMNS)).select(*COLUMNS)
+    Documents without words stay. Rows are told apart by id and text, so null and repeated ids do no harm; of rows that repeat
+    both, one stays, by the order of the other columns."""
+    found = materialise(signature_trees.jaccard_components(docs, n=5, part=80, whole=100).select("doc_id", "place", "node", "component_id", "component_place"), "pipeline-components")
+    worded = found.where(F.col("node").isNotNull())
+    stays = F.col("doc_id").eqNullSafe(F.col("component_id")) & (F.col("place") == F.col("component_place"))
+    key = [F.coalesce(F.col("doc_id").cast("long"), F.lit(signature_trees.NO_ID)).alias("id"), "place"]
+    gone = worded.where(~stays).select(*key).distinct()
+    repeated = worded.where(stays).groupBy(*key).agg(F.count("*").alias("n")).where("n > 1")
+    marked = docs.select(*COLUMNS, F.xxhash64("text").alias("place"), F.coalesce(F.col("doc_id").cast("long"), F.lit(signature_trees.NO_ID)).alias("id"))
+    kept = marked.join(gone, ["id", "place"], "left_anti")
+    if repeated.head(1):
+        twice = materialise(repeated.select("id", "place"), "pipeline-repeated")
+        again = kept.join(twice, ["id", "place"], "left_semi").groupBy("id", "place").agg(F.min(F.struct(*COLUMNS)).alias("d")).select("d.*")
+        kept = kept.join(twice, ["id", "place"], "left_anti").select(*COLUMNS).unionByName(again)
+    return kept.select(*COLUMNS)
 
 
 def span_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -70,8 +80,10 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
+    before = steps()
     for i, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
         if i < len(STAGES) - 1:
             docs = materialise(docs, f"pipeline-{name.replace(' ', '-')}")
+            discard_since(before, docs)  # a stage's own steps go when its result is written
     return docs
