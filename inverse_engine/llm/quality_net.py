@@ -1,13 +1,14 @@
 """Quality classifier: random-indexing vectors pooled for each document, then a two-layer network in numpy.
 
-Every token has a word feature and a shape feature, hashed into a fixed number of rows. A row's index vector is sparse and
-random; its context vector is the sum of the index vectors of the tokens beside it, over the whole corpus: each partition
-adds up one dense matrix, and the matrices are summed in blocks. A document is the mean of its tokens' context and
-shape vectors with a few ratios. The network learns from a bounded labelled sample, and a temperature fitted on a part that
-it did not see makes its outputs probabilities.
+Every word and every shape of a token has an index vector, sparse and random: one signed place in each part of the vector, all
+drawn by a hash. A word's context vector is the sum of the index vectors of the tokens beside it, over the whole corpus. Context
+vectors live in a fixed number of rows that words are hashed to, so that what a partition sends and a worker holds does not grow
+with the vocabulary: each partition adds up one dense matrix, and the matrices are summed in blocks. A document is the mean of
+its tokens' context and shape vectors with a few ratios. The network learns from a bounded labelled sample, and a temperature
+fitted on a part that it did not see makes its outputs probabilities.
 
 Edge cases: null and empty texts are a vector of zeros; repeated rows score alike; without labels of both kinds every score
-is 0.5; extra columns are ignored; texts of any length are read whole.
+is 0.5; extra columns are ignored; texts and tokens of any length are read whole.
 """
 
 from __future__ import annotations
@@ -16,103 +17,128 @@ import re
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import cache
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from inverse_engine.llm.common import fold, labelled_by_class, labelled_sample, materialise, one_thread, ship
 
-#: Rows for words and for shapes, width of the vectors, non-zeros of an index vector, hidden units.
-WORD_ROWS, SHAPE_ROWS, WIDTH, NONZERO, HIDDEN = 6144, 2048, 32, 4, 32
-ROWS = WORD_ROWS + SHAPE_ROWS
-#: Labelled documents that are learned from, about.
-MOST_LABELLED = 16_000
-#: Tokens that are worked on together, and entries that a worker remembers.
-STEP, REMEMBERED = 100_000, 120_000
+#: Rows of context vectors, parts of a vector and places in each, width of the vectors, hidden units.
+ROWS, PARTS, PLACES = 16_384, 4, 8
+WIDTH, HIDDEN = PARTS * PLACES, 32
+#: Index vectors that there are: a place and a sign for each part.
+INDEXES = (2 * PLACES) ** PARTS
+#: Labelled documents that are learned from, about; steps of the network's training, whatever the number of rows.
+MOST_LABELLED, STEPS = 16_000, 10_000
+#: Bytes of text that are split together, and tokens that are added up together.
+STEP_BYTES, STEP = 6_000_000, 30_000
 #: Row blocks and lanes of the matrix sum.
 BLOCKS, LANES = 16, 16
 RATIOS = 6
-_runs = re.compile(r"([A-ZÀ-ÖØ-Þ]+)|([a-zß-öø-ÿ]+)|(\d+)|(.)", re.S)
 
 
-def shape_of(token: str) -> str:
-    """X for capitals, x for small letters, 9 for digits, other characters as they are, repetitions shortened."""
-    out = "".join("X" if m[1] else "x" if m[2] else "9" if m[3] else m[4] for m in _runs.finditer(token[:64]))
-    return re.sub(r"(.)\1+", r"\1\1", out)
+@cache
+def _halves() -> np.ndarray:
+    """Index vectors of half the parts: the digits of a row's number say place and sign in each part."""
+    number = np.arange((2 * PLACES) ** (PARTS // 2))
+    out = np.zeros((len(number), WIDTH // 2), dtype=np.float32)
+    for part in range(PARTS // 2):
+        digit = number // (2 * PLACES) ** part % (2 * PLACES)
+        out[number, part * PLACES + digit // 2] = np.where(digit % 2, 1.0, -1.0)
+    return out
 
 
-def index_vectors() -> np.ndarray:
-    rng = np.random.default_rng(20240229)
-    out = np.zeros((ROWS, WIDTH), dtype=np.float32)
-    for row in out:
-        row[rng.choice(WIDTH, NONZERO, replace=False)] = rng.choice([-1.0, 1.0], NONZERO)
-    return out
+def index_vectors(numbers: np.ndarray) -> np.ndarray:
+    half = _halves()
+    return np.hstack([half[numbers // len(half)], half[numbers % len(half)]])
+
 
+def shapes(tokens: pa.Array) -> pa.Array:
+    """X for a run of capitals, x for one of small letters, 9 for one of digits; other characters as they are."""
+    for run, sign in (("[A-ZÀ-ÖØ-Þ]+", "X"), ("[a-zß-öø-ÿ]+", "x"), ("[0-9]+", "9")):
+        tokens = pc.replace_substring_regex(tokens, run, sign)
+    return tokens
 
-class Rows(dict):
-    """token -> word row * 4096 + shape row (0-based), remembered."""
 
-    def __missing__(self, token: str) -> int:
-        word = zlib.crc32(token.lower().strip(".,;:!?").encode()) % WORD_ROWS
-        shape = zlib.crc32(shape_of(token).encode()) % SHAPE_ROWS
-        if len(self) > REMEMBERED:
-            self.clear()
-        self[token] = value = word * 4096 + shape
-        return value
+def token_codes(tokens: pa.Array) -> np.ndarray:
+    """Of each token: context row, number of the word's index vector and of the shape's, in one number."""
+    words = pc.utf8_trim(pc.utf8_lower(tokens), ".,;:!?").cast(pa.binary()).to_numpy(zero_copy_only=False)
+    hashes = np.fromiter(map(zlib.crc32, words), dtype=np.int64, count=len(words))
+    forms = shapes(tokens).dictionary_encode()
+    form = np.array([zlib.crc32(re.sub(r"(.)\1+", r"\1\1", f, flags=re.S).encode()) % INDEXES for f in forms.dictionary.to_pylist()], dtype=np.int64)
+    return (hashes * 0x9E3779B1 >> 20) % ROWS << 32 | (hashes % INDEXES) << 16 | form[forms.indices.to_numpy()]
 
 
-def _documents(batches: Iterator[pa.RecordBatch], rows: Rows) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray, list[str]]]:
-    """Runs of documents of about STEP tokens: the slice, all tokens' codes, each document's number of tokens, the texts."""
+def _documents(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
+    """Runs of documents of about STEP tokens: the slice, all tokens' codes, each document's number of tokens.
+
+    Texts are split STEP_BYTES at a time, and each different token there is coded once."""
     for batch in batches:
-        texts = [t or "" for t in batch.column(batch.schema.get_field_index("text")).to_pylist()]
-        tokens: list[str] = []
-        counts: list[int] = []
+        text = batch.column(batch.schema.get_field_index("text")).cast(pa.string()).fill_null("")
+        size = np.cumsum(pc.binary_length(text).to_numpy(zero_copy_only=False))
         start = 0
-        for i, t in enumerate(texts):
-            own = t.split()
-            tokens += own
-            counts.append(len(own))
-            if len(tokens) >= STEP or i == len(texts) - 1:
-                yield batch.slice(start, i + 1 - start), np.fromiter(map(rows.__getitem__, tokens), dtype=np.int64, count=len(tokens)), np.array(counts), texts[start : i + 1]
-                tokens, counts, start = [], [], i + 1
+        while start < len(text):
+            end = max(start + 1, int(np.searchsorted(size, (size[start - 1] if start else 0) + STEP_BYTES, side="right")))
+            lists = pc.utf8_split_whitespace(text.slice(start, end - start))
+            counts = pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype(np.int64)
+            known = lists.flatten().dictionary_encode()
+            own = token_codes(known.dictionary)
+            at = known.indices.to_numpy()
+            blank = known.dictionary.index("").as_py()
+            if blank >= 0:  # what lies before the first and after the last white space
+                full = at != blank
+                counts = np.bincount(np.repeat(np.arange(len(counts)), counts)[full], minlength=len(counts))
+                at = at[full]
+            upto = np.concatenate([[0], np.cumsum(counts)])
+            first = 0
+            while first < len(counts):
+                last = max(first + 1, int(np.searchsorted(upto, upto[first] + STEP, side="right")) - 1)
+                yield batch.slice(start + first, last - first), own[at[upto[first] : upto[last]]], counts[first:last]
+                first = last
+            start = end
 
 
 def corpus_vectors(docs: DataFrame) -> np.ndarray:
     """Context vectors over every token of the corpus, rows of unit length (or 0). What reaches the driver is one fixed-size matrix."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows, index = Rows(), index_vectors()
         total = np.zeros((ROWS, WIDTH))
         lane = 0
-        for _, codes, counts, _ in _documents(batches, rows):
-            lane = (lane + int(codes[:16].sum())) % LANES
-            word = codes >> 12
-            near = np.zeros((len(word), WIDTH), dtype=np.float32)
-            doc = np.repeat(np.arange(len(counts)), counts)
-            for reach in (1, 2):
-                same = (doc[reach:] == doc[:-reach])[:, None]
-                near[reach:] += index[word[:-reach]] * same
-                near[:-reach] += index[word[reach:]] * same
-            order = np.argsort(word, kind="stable")
-            first = np.flatnonzero(np.diff(word[order], prepend=-1))
+        for _, own, counts in _documents(batches):
+            lane = (lane + int(own[:16].sum() % LANES)) % LANES
+            row, near = (own >> 32).astype(np.uint16), index_vectors(own >> 16 & 0xFFFF)
+            # Sums over the two tokens on each side, with gaps of zeros between documents.
+            padded = np.zeros((len(own) + 2 * len(counts) + 2, WIDTH), dtype=np.float32)
+            place = np.arange(len(own)) + 2 * np.repeat(np.arange(len(counts)), counts) + 2
+            padded[place] = near
+            near = padded[place - 1] + padded[place + 1]
+            near += padded[place - 2]
+            near += padded[place + 2]
+            order = np.argsort(row, kind="stable")
+            row = row[order]
+            first = np.flatnonzero(np.diff(row.astype(np.int32), prepend=-1))
             if len(first):
-                total[word[order][first]] += np.add.reduceat(near[order], first, axis=0)
+                total[row[first]] += np.add.reduceat(near[order], first, axis=0)
         size = ROWS // BLOCKS
-        yield pa.RecordBatch.from_arrays([pa.array(np.arange(BLOCKS)), pa.array([lane] * BLOCKS), pa.array([total[i * size : (i + 1) * size].astype("<f8").tobytes() for i in range(BLOCKS)], pa.binary())], ["block", "lane", "sums"])
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(BLOCKS)), pa.array([lane] * BLOCKS), pa.array([total[i * size : (i + 1) * size].astype("<f4").tobytes() for i in range(BLOCKS)], pa.binary())], ["block", "lane", "sums"])
 
     def add(frame: pd.DataFrame) -> pd.DataFrame:
-        total = np.sum([np.frombuffer(b, dtype="<f8") for b in frame["sums"]], axis=0)
-        return pd.DataFrame({"block": [frame["block"].iloc[0]], "lane": [0], "sums": [total.tobytes()]})
+        total = np.zeros(ROWS // BLOCKS * WIDTH)
+        for b in frame["sums"]:
+            total += np.frombuffer(b, dtype="<f4")
+        return pd.DataFrame({"block": [frame["block"].iloc[0]], "lane": [0], "sums": [total.astype("<f4").tobytes()]})
 
     parts = docs.select("text").mapInArrow(run, "block long, lane long, sums binary")
     once = parts.groupBy("block", "lane").applyInPandas(add, "block long, lane long, sums binary")
     whole = once.groupBy("block").applyInPandas(add, "block long, lane long, sums binary").collect()  # BLOCKS rows
     out = np.zeros((BLOCKS, ROWS // BLOCKS * WIDTH))
     for r in whole:
-        out[r["block"]] = np.frombuffer(r["sums"], dtype="<f8")
+        out[r["block"]] = np.frombuffer(r["sums"], dtype="<f4")
     out = out.reshape(ROWS, WIDTH)
     length = np.linalg.norm(out, axis=1, keepdims=True)
     return (out / np.where(length > 0, length, 1)).astype(np.float32)
@@ -122,30 +148,31 @@ def corpus_vectors(docs: DataFrame) -> np.ndarray:
 SIZE = 2 * WIDTH + RATIOS
 
 
-def pooled(codes: np.ndarray, counts: np.ndarray, vectors: np.ndarray, index: np.ndarray) -> np.ndarray:
+def _distinct(doc: np.ndarray, code: np.ndarray, n: int) -> np.ndarray:
+    """How many different codes (below 2**31) each of n documents holds."""
+    both = np.sort(doc << 31 | code)
+    return np.bincount(both[np.flatnonzero(np.diff(both, prepend=-1))] >> 31, minlength=n)
+
+
+def pooled(codes: np.ndarray, counts: np.ndarray, vectors: np.ndarray) -> np.ndarray:
     """Mean context vector of the words, mean index vector of the shapes, and ratios, for each document."""
-    word, shape = codes >> 12, codes & 4095
+    shape = codes & 0xFFFF
     out = np.zeros((len(counts), SIZE), dtype=np.float32)
     full = np.flatnonzero(counts)
     if len(full):
         starts = (np.cumsum(counts) - counts)[full]
-        n = counts[full][:, None]
-        out[full, :WIDTH] = np.add.reduceat(vectors[word], starts, axis=0) / n
-        out[full, WIDTH : 2 * WIDTH] = np.add.reduceat(index[WORD_ROWS + shape], starts, axis=0) / n
+        n = counts[full]
+        out[full, :WIDTH] = np.add.reduceat(vectors[codes >> 32], starts, axis=0) / n[:, None]
+        out[full, WIDTH : 2 * WIDTH] = np.add.reduceat(index_vectors(shape), starts, axis=0) / n[:, None]
         doc = np.repeat(np.arange(len(counts)), counts)
-        twice = np.zeros(len(codes))
-        twice[1:] = (codes[1:] == codes[:-1]) & (doc[1:] == doc[:-1])
-        order = np.lexsort((word, doc))
-        fresh = np.ones(len(codes))
-        fresh[1:] = (word[order][1:] != word[order][:-1]) | (doc[order][1:] != doc[order][:-1])
-        own_shape = np.ones(len(codes))
-        by_shape = np.lexsort((shape, doc))
-        own_shape[1:] = (shape[by_shape][1:] != shape[by_shape][:-1]) | (doc[by_shape][1:] != doc[by_shape][:-1])
-        out[full, 2 * WIDTH] = np.add.reduceat(twice, starts) / n[:, 0]
-        out[full, 2 * WIDTH + 1] = np.add.reduceat(fresh, starts) / n[:, 0]
-        out[full, 2 * WIDTH + 2] = np.add.reduceat(fresh, starts) / np.sqrt(n[:, 0])
-        out[full, 2 * WIDTH + 3] = np.add.reduceat(own_shape, starts) / np.sqrt(n[:, 0])
-        out[full, 2 * WIDTH + 4] = np.log1p(n[:, 0])
+        twice = np.flatnonzero((codes[1:] == codes[:-1]) & (doc[1:] == doc[:-1])) + 1
+        words = _distinct(doc, codes >> 16 & 0x7FFFFFFF, len(counts))[full]
+        own_shapes = _distinct(doc, shape, len(counts))[full]
+        out[full, 2 * WIDTH] = np.bincount(doc[twice], minlength=len(counts))[full] / n
+        out[full, 2 * WIDTH + 1] = words / n
+        out[full, 2 * WIDTH + 2] = words / np.sqrt(n)
+        out[full, 2 * WIDTH + 3] = own_shapes / np.sqrt(n)
+        out[full, 2 * WIDTH + 4] = np.log1p(n)
         out[full, 2 * WIDTH + 5] = 1.0
     return out
 
@@ -167,7 +194,7 @@ class Net:
         return 1 / (1 + np.exp(-np.clip(self.logits(x) / self.temperature, -60, 60)))
 
 
-def train_net(x: np.ndarray, y: np.ndarray, epochs: int = 40, batch: int = 64, rate: float = 3e-3, decay: float = 1e-3) -> Net:
+def train_net(x: np.ndarray, y: np.ndarray, steps: int = STEPS, batch: int = 64, rate: float = 3e-3, decay: float = 1e-3) -> Net:
     """Adam on the log loss; the last fifth (the caller shuffles) only sets the temperature."""
     one_thread()
     rng = np.random.default_rng(7)
@@ -180,9 +207,9 @@ def train_net(x: np.ndarray, y: np.ndarray, epochs: int = 40, batch: int = 64, r
     z, t = (x[:cut] - mean) / scale, y[:cut]
     params = [net.w1, net.b1, net.w2, np.zeros(1)]
     first, second, step = [np.zeros_like(p) for p in params], [np.zeros_like(p) for p in params], 0
-    for _ in range(max(epochs, min(400, 40_000 // max(1, cut // batch + 1)) if cut < 4000 else epochs)):
+    while step < steps:
         order = rng.permutation(cut)
-        for i in range(0, cut, batch):
+        for i in range(0, min(cut, (steps - step) * batch), batch):
             own = order[i : i + batch]
             h = np.maximum(z[own] @ params[0] + params[1], 0)
             p = 1 / (1 + np.exp(-np.clip(h @ params[2] + params[3], -60, 60)))
@@ -206,9 +233,8 @@ def featured(docs: DataFrame, vectors, *keep: str) -> DataFrame:
     """The columns `keep` and x, the pooled vector."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows, index = Rows(), index_vectors()
-        for part, codes, counts, _ in _documents(batches, rows):
-            x = pooled(codes, counts, vectors.value, index)
+        for part, own, counts in _documents(batches):
+            x = pooled(own, counts, vectors.value)
             yield pa.RecordBatch.from_arrays([*(part.column(part.schema.get_field_index(k)) for k in keep), pa.FixedSizeListArray.from_arrays(pa.array(x.ravel()), SIZE).cast(pa.list_(pa.float32()))], [*keep, "x"])
 
     rows = docs.select(*keep, "text")
@@ -273,11 +299,10 @@ def score(docs: DataFrame, model: Model, *keep: str) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast((model.vectors, model.net))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows, index = Rows(), index_vectors()
         one_thread()
         vectors, net = shared.value
-        for part, codes, counts, _ in _documents(batches, rows):
-            p = net(pooled(codes, counts, vectors, index).astype(np.float64))
+        for part, own, counts in _documents(batches):
+            p = net(pooled(own, counts, vectors).astype(np.float64))
             yield pa.RecordBatch.from_arrays([*(part.column(part.schema.get_field_index(k)) for k in keep), pa.array(p, pa.float64())], [*keep, "score"])
 
     rows = docs.select(*dict.fromkeys([*keep, "text"]))
