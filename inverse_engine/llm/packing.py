@@ -12,24 +12,26 @@ an empty table gives an empty result; a very long text gives many whole windows
 from __future__ import annotations
 
 import heapq
+import json
 import zlib
-from array import array
 from collections.abc import Iterator
+from functools import cached_property
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from inverse_engine.llm.bpe import chunks
 from inverse_engine.llm.common import materialise, ship
 
 #: Ids in a sequence at most; ids in a piece of a rest at most; pieces in a group, about.
 CAPACITY, PIECE, GROUP = 2048, 1024, 600
-#: Entries that a worker remembers of words and their ids.
-REMEMBERED = 350_000
-BATCH_CHARS = 3_000_000
+#: Bytes of text that are encoded together; from so many bytes on, a run is left to `tokenizers`.
+BATCH_BYTES, LONG_RUN = 4_000_000, 1000
+#: Fixed value: how byte-level BPE of this family splits a text.
+PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, deal long"
 
 
@@ -90,104 +92,99 @@ def pack_group(lengths: np.ndarray, capacity: int) -> np.ndarray:
     return window
 
 
-class WordIds:
-    """Ids of whole texts by a `tokenizers` file, remembering those of words between single spaces.
+def _byte_of() -> dict[str, int]:
+    """The byte that each letter of a byte-level vocabulary stands for: printable Latin-1 letters themselves, the others from 256 on."""
+    plain = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or b >= 174]
+    others = [b for b in range(256) if b not in set(plain)]
+    return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(others)}
 
-    Cutting before such spaces is exact for this byte-level vocabulary; see bpe.py."""
+
+class Ids:
+    """Ids of whole texts by a `tokenizers` file.
+
+    Where the file is plain byte-level BPE whose ids rise with its merges, `tiktoken` gives the same ids several times faster, and is
+    asked; texts with an added token in them, or with a run that its quadratic merging would take long over, go to `tokenizers`."""
 
     def __init__(self, path: str):
+        self.path = path
+        with open(path, encoding="utf-8") as f:
+            told = json.load(f)
+        self.added = [t["content"] for t in told.get("added_tokens") or []]
+        self.fast = self._ranked(told)
+
+    @cached_property
+    def tokenizer(self):
         from tokenizers import Tokenizer
 
-        self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
-        self.memory: dict[str, bytes] = {}
-        self.line_end, *marks = self._fresh(["\n", *".,"])
-        self.marks = dict(zip(".,", marks, strict=True))
-
-    def _fresh(self, texts: list[str]) -> list[bytes]:
-        return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
-
-    def _learn(self, new: list[str]) -> None:
-        """Ids of " " + each of `new`. A mark after a letter, and a line end between two other characters, are matches of their own."""
-        plans: list[tuple[str, list]] = []
-        wanted: dict[tuple[bool, str], bytes | None] = {}
-        for c in new:
-            lines = c.split("\n")
-            if len(lines) > 1 and not all(x and not x[0].isspace() and not x[-1].isspace() for x in lines):
-                lines = [c]
-            plan: list = []
-            for i, x in enumerate(lines):
-                if i:
-                    plan.append(self.line_end)
-                tail = self.marks.get(x[-1]) if len(x) > 1 and x[-2].isalpha() else None
-                key = (i == 0, x if tail is None else x[:-1])
-                if key not in wanted:
-                    wanted[key] = self.memory.get(key[1]) if i == 0 else None
-                plan.append(key)
-                if tail is not None:
-                    plan.append(tail)
-            plans.append((c, plan))
-        missing = [k for k, v in wanted.items() if v is None]
-        for key, ids in zip(missing, self._fresh([" " + x if spaced else x for spaced, x in missing]), strict=True):
-            wanted[key] = ids
-            if key[0]:
-                self.memory[key[1]] = ids
-        for c, plan in plans:
-            self.memory[c] = b"".join([x if type(x) is bytes else wanted[x] for x in plan])
-
-    def __call__(self, texts: list[str | None]) -> list[bytes]:
-        """`memory` holds " " + its keys, as that is how all but first parts read."""
-        split = [chunks(t) if t else [] for t in texts]
-        first = list({p[0] for p in split if p})
-        head = dict(zip(first, self._fresh(first), strict=True))
-        if len(self.memory) > REMEMBERED:
-            seen = set().union(*split)
-            self.memory = {k: self.memory[k] for k in seen if k in self.memory}
-        found = [[head[p[0]], *map(self.memory.get, p[1:])] if p else [] for p in split]
-        self._learn(list({c for p, f in zip(split, found, strict=True) if None in f for c, x in zip(p, f, strict=True) if x is None}))
-        memory = self.memory
-        return [b"".join(f if None not in f else [memory[c] if x is None else x for c, x in zip(p, f, strict=True)]) for p, f in zip(split, found, strict=True)]
-
-
-_coders: dict[str, WordIds] = {}
+        return Tokenizer.from_file(self.path)
+
+    @staticmethod
+    def _ranked(told: dict):
+        """The same vocabulary for `tiktoken`, or None."""
+        import tiktoken
+
+        model, before = told["model"], told.get("pre_tokenizer") or {}
+        if told.get("normalizer") or model["type"] != "BPE" or before.get("type") != "ByteLevel" or before.get("add_prefix_space") or not before.get("use_regex", True):
+            return None
+        if any(model.get(k) for k in ("dropout", "unk_token", "continuing_subword_prefix", "end_of_word_suffix", "fuse_unk", "byte_fallback", "ignore_merges")):
+            return None
+        pairs = [m.split(" ") if isinstance(m, str) else m for m in model["merges"]]
+        order = [model["vocab"].get("".join(pair)) for pair in pairs]
+        added = {t["content"] for t in told.get("added_tokens") or []}
+        letters = {k: v for k, v in model["vocab"].items() if k not in added}
+        if None in order or order != sorted(order) or len(letters) != 256 + len(pairs) or max(letters.values()) != 255 + len(pairs):
+            return None
+        byte = _byte_of()
+        ranks = {bytes(byte[c] for c in token): rank for token, rank in letters.items()}
+        return tiktoken.Encoding("byte-level", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={})
+
+    def __call__(self, texts: pa.Array) -> list[np.ndarray]:
+        lists = pc.split_pattern(texts, " ")
+        parts, counts = lists.flatten(), pc.list_value_length(lists).to_numpy(zero_copy_only=False)
+        slow = np.zeros(len(texts), dtype=bool)
+        slow[np.repeat(np.arange(len(texts)), counts)[pc.binary_length(parts).to_numpy(zero_copy_only=False) > LONG_RUN]] = True
+        for mark in [" " * LONG_RUN, *self.added]:
+            slow |= pc.match_substring(texts, mark).to_numpy(zero_copy_only=False)
+        out = []
+        for t, s in zip(texts.to_pylist(), slow.tolist(), strict=True):
+            if s or self.fast is None:
+                out.append(np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, dtype="<u4"))
+            else:
+                out.append(self.fast.encode_to_numpy(t).astype("<u4", copy=False))
+        return out
+
+
+_coders: dict[str, Ids] = {}
 
 
 def cut(docs: DataFrame, path: str, end_id: int = 1, capacity: int = CAPACITY, piece: int = PIECE) -> DataFrame:
     """One row for each piece: doc_id, start, length, ids_crc32, doc_tokens, deal (a hash that spreads rows, ids repeated or not)."""
-    ends = np.array([end_id], dtype="<u4").tobytes()
+    ends = np.array([end_id], dtype="<u4")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if path not in _coders:
-            _coders[path] = WordIds(path)
-        coder = _coders[path]
+            _coders[path] = Ids(path)
         count = 0
-
-        def emit(ids_of: list, texts: list) -> pa.RecordBatch:
-            nonlocal count
-            out: list[tuple] = []
-            for doc, ids in zip(ids_of, coder(texts), strict=True):
-                ids += ends
-                n = len(ids) // 4
-                marks = list(range(0, n - n % capacity + 1, capacity))
-                rest = n - marks[-1]
-                if rest:
-                    parts = -(-rest // piece)
-                    marks += [marks[-1] + rest * (j + 1) // parts for j in range(parts)]
-                for a, b in zip(marks, marks[1:], strict=False):
-                    count += 1
-                    out.append((doc, a, b - a, zlib.crc32(ids[4 * a : 4 * b]), n, zlib.crc32(b"%d/%d" % (doc or 0, count))))
-            return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*out, strict=True)], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "deal"])
-
         for batch in batches:
-            ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            begin = size = 0
-            for i, t in enumerate(texts):
-                size += len(t or "")
-                if size >= BATCH_CHARS:
-                    yield emit(ids[begin : i + 1], texts[begin : i + 1])
-                    begin, size = i + 1, 0
-            if begin < len(texts):
-                yield emit(ids[begin:], texts[begin:])
+            text = batch.column(1).cast(pa.string()).fill_null("")
+            size = np.cumsum(pc.binary_length(text).to_numpy(zero_copy_only=False))
+            first = 0
+            while first < len(text):
+                last = max(first + 1, int(np.searchsorted(size, (size[first - 1] if first else 0) + BATCH_BYTES, side="right")))
+                out: list[tuple] = []
+                for doc, ids in zip(batch.column(0).slice(first, last - first).to_pylist(), _coders[path](text.slice(first, last - first)), strict=True):
+                    ids = np.append(ids, ends)
+                    n = len(ids)
+                    marks = list(range(0, n - n % capacity + 1, capacity))
+                    rest = n - marks[-1]
+                    if rest:
+                        parts = -(-rest // piece)
+                        marks += [marks[-1] + rest * (j + 1) // parts for j in range(parts)]
+                    for a, b in zip(marks, marks[1:], strict=False):
+                        count += 1
+                        out.append((doc, a, b - a, zlib.crc32(ids[a:b]), n, zlib.crc32(b"%d/%d" % (doc or 0, count))))
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*out, strict=True)], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "deal"])
+                first = last
 
     ship(docs.sparkSession)
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, PIECES)
