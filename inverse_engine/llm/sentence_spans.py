@@ -2,7 +2,7 @@
 
 A text is cut into sentences at closing marks, line ends, and before a capitalised word that no mark precedes (passages are
 pasted into the middle of sentences). From each sentence on, and back from each, the shortest run of at least LEAST_SENTENCES
-sentences and LEAST_WORDS words is hashed. Stretches of LONG words that hold no such run inside (long sentences, other scripts)
+sentences and LEAST_WORDS words is hashed: shorter ones are common phrases, which clean documents share. Stretches of LONG words that hold no such run inside (long sentences, other scripts)
 choose the run of GRAM words with the least hash among theirs: two documents that share the stretch choose alike, so every
 common stretch of LONG words holds a common run, and at most LONG - GRAM words at its two ends are outside its runs.
 Runs that occur more than once in the corpus are joined back, and the words under an occurrence other than the
@@ -28,7 +28,7 @@ from pyspark.sql.functions import pandas_udf
 
 from inverse_engine.llm.common import materialise, ship
 
-LEAST_SENTENCES, LEAST_WORDS = 2, 10
+LEAST_SENTENCES, LEAST_WORDS = 2, 40
 #: Words of a common stretch that may not pass unseen ("over 50"), and of the runs that such stretches choose.
 LONG, GRAM = 51, 40
 LAST = (1 << 63) - 1
@@ -152,7 +152,8 @@ def dedup_spans(docs: DataFrame) -> DataFrame:
         done = [cleaned(t, a, b) for t, a, b in zip(text, first, last, strict=True)]
         return pd.DataFrame(done, columns=["kept", "n_sentences", "n_removed", "removed_words"])
 
-    marked = docs.withColumn("_row_key", _row_key()).join(repeated_runs(docs).withColumnRenamed("row_key", "_row_key").withColumnsRenamed({"first": "_first", "last": "_last"}), "_row_key", "left")
-    done = marked.withColumn("_cut", cut("text", "_first", "_last"))
+    # The rows' own columns stay in one struct, so that no name of theirs meets one of these.
+    marked = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), _row_key().alias("row_key")).join(repeated_runs(docs), "row_key", "left")
+    done = marked.withColumn("cut", cut(F.col("row").getField("text"), "first", "last"))
     names = [c for c in docs.columns if c not in ("n_sentences", "n_removed", "removed_words")]
-    return done.select(*[F.col("_cut.kept").alias("text") if c == "text" else F.col(c) for c in names], "_cut.n_sentences", "_cut.n_removed", "_cut.removed_words")
+    return done.select(*[F.col("cut.kept").alias("text") if c == "text" else F.col("row").getField(c).alias(c) for c in names], "cut.n_sentences", "cut.n_removed", "cut.removed_words")
