@@ -148,7 +148,7 @@ def cover(bins: np.ndarray, y: np.ndarray, weight: np.ndarray, grow: np.ndarray,
 def learn(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELLED) -> list[Rule]:
     """Rules from about `most` labelled documents; what reaches the driver is counts of binned measures, bounded by that sample."""
     sample = labelled_sample(labels, "quality", most)
-    rows = materialise(measured(docs.join(F.broadcast(sample), "doc_id"), "doc_id", "y"), "rule-measures").where(F.col("n_words") >= 20)
+    rows = materialise(measured(docs.select("doc_id", "text").join(F.broadcast(sample), "doc_id"), "doc_id", "y"), "rule-measures").where(F.col("n_words") >= 20)
     share = [i / THRESHOLDS for i in range(1, THRESHOLDS)] + [0.97, 0.99]
     found = rows.agg(*[F.percentile_approx(m, share, 2000).alias(m) for m in MEASURES]).first()
     cuts = [sorted({float(x) for x in found[m] or []}) for m in MEASURES]

@@ -7,6 +7,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -72,12 +73,25 @@ def test_shards(spark, docs, awkward, empty):
     assert histogram_shards.histogram_shards(empty).count() == 0
 
 
-def test_shards_split_a_hot_text(spark):
-    frame = spark.range(3000).select(F.col("id").alias("doc_id"), F.when(F.col("id") % 2 == 0, "hot").otherwise(F.concat(F.lit("t"), F.col("id"))).alias("text"))
+@pytest.mark.parametrize("ids", ["id", "CASE WHEN id <> 7 THEN id END", "CASE WHEN id % 2 = 1 THEN id END", "CASE WHEN id = 4 THEN -9223372036854775807 WHEN id = 6 THEN 9223372036854775807 ELSE id - 1500 END", "5"])
+def test_shards_split_a_hot_text(spark, ids):
+    frame = spark.range(3000).select(F.expr(ids).cast("long").alias("doc_id"), F.when(F.col("id") % 2 == 0, "hot").otherwise(F.concat(F.lit("t"), F.col("id"))).alias("text"))
     loads = histogram_shards.histogram_shards(frame).groupBy("shard").agg(F.sum("size").alias("b")).toPandas()["b"]
     assert len(loads) == 24 and loads.max() <= 1.05 * loads.mean()
 
 
+def test_shards_sizes_checksums_and_order(spark, docs, awkward):
+    for frame in (docs, awkward):
+        want = collections.Counter((d, len((t or "").encode()) + 8, zlib.crc32((t or "").encode())) for d, t in frame.select("doc_id", "text").collect())
+        for rows in (20_000, 3):  # with 3, pieces are sorted in many tasks
+            got = histogram_shards.histogram_shards(frame, piece_rows=rows).toPandas()
+            assert collections.Counter(zip((None if d != d else int(d) for d in got["doc_id"]), got["size"], got["text_crc32"])) == want
+            assert sorted(zip(got["shard"], got["slot"])) == [(s, i) for s, n in sorted(got.groupby("shard").size().items()) for i in range(n)]
+            # Equal texts are neighbours, but where a shard ends.
+            ordered = got.sort_values(["shard", "slot"])["text_crc32"].tolist()
+            assert sum(a != b for a, b in zip(ordered, ordered[1:])) + 1 == len(set(ordered))
+
+
 def test_bpe_against_tiktoken(spark, docs, awkward, empty):
     import hashlib
 
@@ -88,7 +102,7 @@ def test_bpe_against_tiktoken(spark, docs, awkward, empty):
 
     path = public_tokenizers.path("byte_bpe_50k.tiktoken")
     own = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=load_ranks(path), special_tokens={})
-    for frame in (docs.limit(150), awkward):
+    for frame in (docs, awkward):
         texts = frame.select("doc_id", "text").collect()
         want = collections.Counter()
         for d, t in texts:
@@ -121,7 +135,7 @@ def test_packing(spark, docs, awkward, empty):
 
     path = public_tokenizers.path("byte_bpe_50k.json")
     whole = Tokenizer.from_file(path)
-    for frame in (docs.limit(300), awkward):
+    for frame in (docs, awkward):
         texts = collections.defaultdict(list)
         for d, t in frame.select("doc_id", "text").collect():
             texts[d].append(np.array([*whole.encode(t or "", add_special_tokens=False).ids, 1], dtype="<u4"))
@@ -139,6 +153,22 @@ def test_packing(spark, docs, awkward, empty):
     assert packing.pack(empty, path).count() == 0
 
 
+def test_packing_ids_against_tokenizers():
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    for name in ("byte_bpe_50k.json", "word_bpe_49k.json"):
+        path = public_tokenizers.path(name)
+        own, whole = packing.Ids(path), Tokenizer.from_file(path)
+        assert (own.fast is not None) == (name == "byte_bpe_50k.json")
+        rng = random.Random(2)
+        signs = ["a", "b", " ", "  ", "\n", "\t", "'s", "é", "ß", "1", "!", "-", "\x1c", "ab", "The", "日本", "\r\n", ".", "🎉", "\u00a0", "<|endoftext|>", "\u0301", "\x00"]
+        texts = ["".join(rng.choice(signs) for _ in range(rng.randint(0, 25))) for _ in range(1500)]
+        texts += ["", "x" * 200_000, " " * 50_000, "ab" * 3000 + " tail", "\n" * 4000, "a <|endoftext|> b", "日" * 5000]
+        for t, ids in zip(texts, own(pa.array(texts, pa.string()))):
+            assert ids.tolist() == whole.encode(t, add_special_tokens=False).ids
+
+
 def test_differencing_keeps_to_capacity():
     rng = np.random.default_rng(0)
     for _ in range(30):
@@ -190,9 +220,56 @@ def test_span_dedup_removes_a_passage_inside_long_sentences(spark):
 
 
 def test_span_runs_reach_a_passage_end():
-    text = "Aa b c d e f g h i. Bb c d e f. Cc d. Own words then."
+    text = "Aa " + "b " * 30 + "c. Bb " + "c " * 10 + "f. Cc d. Own words then."
     hashes, first, last = sentence_spans.spans(text)
-    assert 15 in last  # the run that ends with the short sentence
+    assert 45 in last  # the run that ends with the short sentence
+
+
+def test_span_dedup_by_windows_of_words(spark, docs):
+    """Apart from the operator's own parts: over the whole table, no stretch of 51 words is left in two places, and only words in a
+    stretch of 40 that came before are gone."""
+    rows = sorted((d, t or "") for d, t in docs.select("doc_id", "text").collect())
+    done = {r["doc_id"]: r for r in sentence_spans.dedup_spans(docs).collect()}
+
+    def windows(words, n):
+        return [hash(tuple(words[i : i + n])) for i in range(len(words) - n + 1)]
+
+    left = collections.Counter(h for d, _ in rows for h in windows(done[d]["text"].split(), 51))
+    assert max(left.values()) == 1
+    seen, touched = set(), 0
+    for d, t in rows:
+        words = t.split()
+        late = np.zeros(len(words) + 1, dtype=bool)
+        for i, h in enumerate(windows(words, 40)):
+            if h in seen:
+                late[i : i + 40] = True
+            seen.add(h)
+        assert done[d]["removed_words"] == len(words) - len(done[d]["text"].split()) <= late.sum()
+        touched += done[d]["removed_words"] > 0
+    assert touched > 50
+
+
+def test_span_dedup_leaves_common_phrases(spark):
+    phrase = "One short line of words. And another short one here."
+    rows = [(i, f"w{i} " * 9 + phrase + f" v{i}" * 9) for i in range(30)]
+    got = {r["doc_id"]: (r["text"], r["n_removed"]) for r in sentence_spans.dedup_spans(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {i: (t, 0) for i, t in rows}
+
+
+def test_clashing_columns(spark):
+    """Names that the operators use inside stay with their rows, or are ignored."""
+    words = " ".join(f"word{i}" for i in range(60))
+    names = ["y", "_first", "first", "last", "row_key", "row", "cut", "place", "node", "label", "h", "kind", "n_removed", "id"]
+    frame = spark.createDataFrame([(i, words, *[f"{n}{i}" for n in names]) for i in range(3)], ["doc_id", "text", *names])
+    labels = spark.createDataFrame([(0, 1, 0, "z"), (1, 0, 1, "z"), (2, 1, 0, "z")], "doc_id long, quality int, toxic int, y string")
+    got = sentence_spans.dedup_spans(frame)
+    assert got.columns == ["doc_id", "text", *[n for n in names if n != "n_removed"], "n_sentences", "n_removed", "removed_words"]
+    assert sorted((r["doc_id"], r["_first"], r["cut"]) for r in got.collect()) == [(i, f"_first{i}", f"cut{i}") for i in range(3)]
+    assert decision_list.learn(frame, labels) == []
+    assert {r["component_id"] for r in signature_trees.jaccard_components(frame).collect()} == {0}
+    assert language_model.language_model_scores(frame).count() == 3 and histogram_shards.histogram_shards(frame).count() == 3
+    assert quality_net.score(frame, quality_net.learn(frame, labels), "doc_id").count() == 3
+    assert toxicity.score(frame, toxicity.learn(frame, labels)).count() == 3
 
 
 def brute_components(rows, n, part, whole):
@@ -308,15 +385,98 @@ def test_language_model(spark, docs, awkward, empty):
     assert language_model.language_model_scores(empty).count() == 0
 
 
-def test_language_model_is_normalised():
-    vocabulary = language_model.Vocabulary(100, 30, 5, [(1, 0, 9), (2, 1, 8)], {k: (10, 3) for k in range(language_model.REST_CLASSES)})
-    p = language_model.Parameters.start(vocabulary.noise)
-    logits = p.contexts(np.array([[3, -1, -1], [0, 1, 2]])) @ p.classes.T + p.bias
-    shares = np.exp(logits) / np.exp(logits).sum(axis=1, keepdims=True)
-    assert np.allclose(shares.sum(axis=1), 1, atol=1e-5)
-    # Inside each kind, its known words and one unknown word share everything.
-    k = 0
-    assert math.isclose((10 - 9) + (3 - 1) + 1, vocabulary.kind_total[k])
+def test_language_model_counts_words_that_are_not_held(spark, docs, awkward, monkeypatch):
+    # Rows that repeat in all columns, one of them in training with words that are seen once, and few held words.
+    rows = [(2, "rare words here once"), (2, "rare words here once"), (2, "rare words here once"), (3, "the the the of of a"), (None, "the rare"), (9, "")]
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    for held in (100_000, 3, 0):
+        monkeypatch.setattr(language_model, "HELD_WORDS", held)
+        for table_ in (frame, docs.limit(60).select("doc_id", "text")):
+            given = [tuple(r) for r in table_.collect()]
+            c, n = collections.Counter(), 0
+            for d, t in given:
+                if zlib.crc32(("" if d is None else str(d)).encode()) % 7 != 2:
+                    own = re.findall(r"[^\x20\x09-\x0D]+", t.translate({c: c + 32 for c in range(65, 91)}))
+                    c.update([*own, None])
+            n = sum(c.values())
+            want = collections.Counter()
+            for d, t in given:
+                own = [*re.findall(r"[^\x20\x09-\x0D]+", t.translate({c: c + 32 for c in range(65, 91)})), None]
+                want[d, len(own), sum(c[w] > 0 for w in own), n, round(sum(math.log10((c[w] + 1) / (n + len(c) + 1)) for w in own), 6)] += 1
+            got = language_model.language_model_scores(spark.createDataFrame(given, "doc_id long, text string")).collect()
+            assert collections.Counter((r["doc_id"], r["n_tokens"], r["n_known"], r["train_tokens"], round(r["base_score"], 6)) for r in got) == want
+            assert all(r["score"] < 0 for r in got)
+
+
+def small_vocabulary():
+    words = [f"word{i}" for i in range(300)]
+    h, kind = language_model.word_codes(pa.array(words))
+    counted = [(int(x), int(k), 400 - i) for i, (x, k) in enumerate(zip(h, kind))]
+    kinds = {k: (sum(c for _, o, c in counted if o == k), sum(o == k for _, o, _ in counted)) for k in range(language_model.KINDS)}
+    n = sum(c for _, _, c in counted) + 50
+    return words, language_model.Vocabulary(n, 301, 50, counted[:200], kinds), dict(zip(words, counted))
+
+
+def test_language_model_against_a_plain_forward_pass():
+    """Every token's probability by loops over kinds, leaves and distances; and the shares of all words, the end and one unknown word of each kind add up to 1."""
+    m = language_model
+    words, v, counted = small_vocabulary()
+    p = m.Parameters(np.random.default_rng(0).normal(0, 0.4, m.Parameters.SIZE).astype(np.float32))
+    p.rows[0] = 0
+    p.leaf_bias[:] = np.where(v.leaf_noise.ravel() > 0, p.leaf_bias, -1e9)
+    texts = ["Word3 word250 word7  word299 unknown", "", " word0 word1 word2 word3 word4 "]
+    tokens = m.encode(pa.array(texts), v)
+    got = m.token_log10(tokens, p, v)
+    leaf_of = {int(h): int(leaf) for h, leaf in zip(v.hashes, v.leaf)}
+    held = {int(h): int(c) for h, c in zip(v.hashes, v.counts)}
+    soft = lambda x: [y - math.log(sum(math.exp(z) for z in x)) for y in x]
+
+    def row(word):
+        h, k = (int(x[0]) for x in m.word_codes(pa.array([word])))
+        others = 1 + m.KINDS * m.LEAVES
+        return 1 + k * m.LEAVES + leaf_of[h] if leaf_of.get(h) else others + int(m._ending(pa.array([word]), 4)[0] % np.uint64(m.CONTEXT_ROWS - others))
+
+    def shares(before):
+        context = sum((p.rows[row(w)] * p.distance[i] for i, w in enumerate(before)), np.zeros(m.WIDTH))
+        kinds = soft([float(p.kinds[k] @ context + p.kind_bias[k]) for k in range(m.KINDS + 1)])
+        leaves = [soft([max(-700.0, float(p.leaves[k * m.LEAVES + j] @ context + p.leaf_bias[k * m.LEAVES + j])) for j in range(m.LEAVES)]) for k in range(m.KINDS)]
+        return kinds, leaves
+
+    def log_word(word, kinds, leaves):
+        h, k = (int(x[0]) for x in m.word_codes(pa.array([word])))
+        leaf = leaf_of.get(h, 0)
+        out = kinds[k] + leaves[k][leaf]
+        return out if leaf else out + math.log((held.get(h, 0) + 1) / v.rest_total[k])
+
+    at = 0
+    for t in texts:
+        own = t.lower().split()
+        for i in range(len(own) + 1):
+            kinds, leaves = shares(own[max(0, i - m.CONTEXT) : i][::-1])
+            want = kinds[m.END] if i == len(own) else log_word(own[i], kinds, leaves)
+            assert math.isclose(got[at], want / math.log(10), rel_tol=1e-4, abs_tol=1e-4), (t, i)
+            at += 1
+    assert at == len(got)
+    # A kind's rest: words that are no leaf, by their true counts, and one unknown.
+    total = math.exp(kinds[m.END])
+    for k in range(m.KINDS):
+        total += sum(math.exp(kinds[k] + leaves[k][j]) for j in range(1, m.LEAVES))
+        inside = sum(c + 1 for w, (h, o, c) in counted.items() if o == k and not leaf_of.get(h))
+        total += math.exp(kinds[k] + leaves[k][0]) * (inside + 1) / v.rest_total[k]
+    assert math.isclose(total, 1, rel_tol=1e-6)
+
+
+def test_language_model_learns_a_pattern():
+    m = language_model
+    words, v, _ = small_vocabulary()
+    text = " ".join(words[i % 3] for i in range(6000))
+    p = m.Parameters.start(v)
+    trainer = m.Trainer(p.flat, v, np.zeros(m.Parameters.SIZE, dtype=np.float32), 1)
+    tokens = m.encode(pa.array([text]), v)
+    before = m.token_log10(tokens, p, v).sum()
+    for _ in range(60):
+        trainer(tokens)
+    assert m.token_log10(tokens, p, v).sum() > before / 3 and not p.rows[0].any()
 
 
 def held_accuracy(scored, labels, target):
@@ -359,3 +519,41 @@ def test_quality(spark, docs, awkward, empty):
     assert held_accuracy(scored, labels, "quality") >= 0.9
     assert quality_net.score(awkward, model, "doc_id").count() == len(AWKWARD) and quality_net.score(empty, model, "doc_id").count() == 0
     assert quality_net.learn(docs, labels.limit(0)).net.temperature == 1.0
+
+
+def test_quality_vectors_against_a_plain_sum(spark):
+    """Context vectors and pooled features by loops over tokens."""
+    texts = ["Alpha beta, gamma 12 beta", "beta  alpha\u00a0delta", None, "", "one", "ÄÖ äö!! x9 " * 3]
+    codes = {}
+    split = [(t or "").split() for t in texts]
+    for w in {w for own in split for w in own}:
+        codes[w] = int(quality_net.token_codes(pa.array([w]))[0])
+    index = lambda n: quality_net.index_vectors(np.array([n]))[0]
+    total = np.zeros((quality_net.ROWS, quality_net.WIDTH))
+    for own in split:
+        for i, w in enumerate(own):
+            for j in (i - 2, i - 1, i + 1, i + 2):
+                if 0 <= j < len(own):
+                    total[codes[w] >> 32] += index(codes[own[j]] >> 16 & 0xFFFF)
+    length = np.linalg.norm(total, axis=1, keepdims=True)
+    want = total / np.where(length > 0, length, 1)
+    frame = spark.createDataFrame([(t,) for t in texts], "text string").repartition(3)
+    got = quality_net.corpus_vectors(frame)
+    assert np.allclose(got, want, atol=1e-5)
+    batch = pa.RecordBatch.from_arrays([pa.array(texts)], ["text"])
+    for _, own, counts in quality_net._documents([batch]):
+        x = quality_net.pooled(own, counts, got)
+    for row, own in zip(x, split):
+        if not own:
+            assert not row.any()
+            continue
+        n, w = len(own), quality_net.WIDTH
+        assert np.allclose(row[:w], np.mean([want[codes[t] >> 32] for t in own], axis=0), atol=1e-5)
+        assert np.allclose(row[w : 2 * w], np.mean([index(codes[t] & 0xFFFF) for t in own], axis=0), atol=1e-5)
+        different = len({codes[t] >> 16 & 0x7FFFFFFF for t in own})
+        assert np.allclose(row[2 * w :], [sum(codes[a] == codes[b] for a, b in zip(own, own[1:])) / n, different / n, different / n**0.5, len({codes[t] & 0xFFFF for t in own}) / n**0.5, math.log1p(n), 1], atol=1e-5)
+
+
+def test_quality_index_vectors_are_all_different():
+    every = quality_net.index_vectors(np.arange(quality_net.INDEXES))
+    assert len(np.unique(every, axis=0)) == quality_net.INDEXES and (np.abs(every).sum(axis=1) == quality_net.PARTS).all()
