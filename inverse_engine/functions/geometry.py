@@ -111,6 +111,21 @@ def furthest(p: Sequence[Column], members: Column, d: int) -> Column:
     return F.array_max(F.transform(members, lambda m: F.struct(dist2(p, at(m["x"], d)).alias("d2"), m["q"].alias("q"))))
 
 
+def bucket(value: Column, cuts: Sequence[float]) -> Column:
+    """How many of the ascending cuts the value is at or above: binary search in one literal array."""
+    if len(cuts) <= LONGEST_CHAIN:
+        return total([(value >= c).cast("int") for c in cuts] or [F.lit(0)])
+    array = F.lit(list(cuts))
+    widths = F.array(*[F.lit(1 << s) for s in reversed(range(len(cuts).bit_length()))])
+    return F.aggregate(widths, F.lit(0), lambda found, w: F.when((found + w <= len(cuts)) & (value >= F.get(array, found + w - 1)), found + w).otherwise(found))
+
+
+def box_gap2(low: Sequence[Column], high: Sequence[Column], low2: Sequence[Column], high2: Sequence[Column]) -> Column:
+    """Squared distance of two boxes at their nearest places."""
+    gaps = [F.greatest(a - d, c - b, F.lit(0.0)) for a, b, c, d in zip(low, high, low2, high2, strict=True)]
+    return total([g * g for g in gaps])
+
+
 def morton(cells: Sequence[Column], bits: int) -> Column:
     """Interleaves the low bits of whole-number cell coordinates."""
     d = len(cells)

@@ -2,20 +2,30 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from inverse_engine.plans.store import stored
 from inverse_engine.sources.query_sets import attach_coordinates
 
-#: Query sets of a batch that one plan broadcasts; more are run in batches.
-MOST_SETS = 20_000
+#: Query sets of a batch, and members in all, that one plan broadcasts; more are run in batches.
+MOST_SETS, MOST_MEMBERS = 20_000, 500_000
 
 
 def gathered(points: DataFrame, sets: DataFrame) -> DataFrame:
-    """One row for each set, as a broadcast: at most MOST_SETS rows of some tens of members."""
-    if sets.select("set_id").distinct().limit(MOST_SETS + 1).count() > MOST_SETS:
-        raise ValueError(f"more than {MOST_SETS} query sets; split the batch")
-    return attach_coordinates(points, sets)
+    """One row for each set, written once: at most MOST_SETS rows and MOST_MEMBERS members. Members that are no points raise."""
+    sets = stored(sets, "query-members")
+    asked = sets.groupBy("set_id").agg(F.count_distinct("q_id").alias("asked"))
+    size = asked.agg(F.count("*").alias("n"), F.coalesce(F.sum("asked"), F.lit(0)).alias("members")).first()
+    if size["n"] > MOST_SETS or size["members"] > MOST_MEMBERS:
+        raise ValueError(f"{size['n']} query sets of {size['members']} members; split the batch")
+    rows = stored(attach_coordinates(points, sets), "query-sets")
+    lost = asked.join(F.broadcast(rows.select("set_id", "m")), "set_id", "left").where(F.coalesce("m", F.lit(0)) != F.col("asked")).head(1)
+    if lost:
+        raise ValueError(f"set {lost[0]['set_id']} has members that are no points; unknown_ids() lists them")
+    return rows
 
 
 def singletons(rows: DataFrame) -> DataFrame:
@@ -39,3 +49,24 @@ def chosen_member(rows: DataFrame, seed: int) -> DataFrame:
     """The singleton of each set that a hash of (member, seed) picks: the single filter's query."""
     order = F.array_min(F.transform("qs", lambda q: F.struct(F.xxhash64(q["q"], F.lit(seed)).alias("h"), q.alias("one"))))
     return rows.withColumn("all_qs", F.col("qs")).withColumn("all_m", F.col("m")).withColumn("qs", F.array(order["one"])).withColumn("m", F.lit(1))
+
+
+def iterated(rows: DataFrame, reverse: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """(set_id, id) that the members' reverse queries share, one member of every set at a time: sets whose intersection is empty
+    drop out, and nothing runs when none is left. `reverse` takes rows with one member each."""
+    found, turn = None, 0
+    most = rows.agg(F.max("m")).first()[0] or 0
+    while turn < most:
+        live = rows.where(F.col("m") > turn)
+        if found is not None:
+            live = live.join(F.broadcast(found.select("set_id").distinct()), "set_id", "left_semi")
+        one = live.withColumn("qs", F.slice("qs", F.lit(turn + 1), F.lit(1))).withColumn("m", F.lit(1))
+        got = reverse(one)
+        if found is not None:
+            shorter = found.join(F.broadcast(rows.where(F.col("m") <= turn).select("set_id")), "set_id", "left_semi")
+            got = found.join(got, ["set_id", "id"], "left_semi").unionByName(shorter)
+        found = stored(got, "intersection")
+        turn += 1
+        if not found.head(1):
+            break
+    return found if found is not None else rows.select("set_id", F.lit(0).cast("long").alias("id")).where("false")

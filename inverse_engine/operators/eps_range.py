@@ -6,10 +6,14 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from inverse_engine.functions.geometry import LONGEST_CHAIN, all_of, at, box_max_dist2, box_min_dist2, columns, coordinates, dist2, in_box, max_dist2_of_set
-from inverse_engine.operators.common import chosen_member, gathered, intersected, singletons, without_queries
-from inverse_engine.plans.blocks import Index, small
+from inverse_engine.operators.common import chosen_member, gathered, intersected, iterated, singletons, without_queries
+from inverse_engine.plans.blocks import Index
+from inverse_engine.plans.store import stored
 from inverse_engine.sources.points import dimension
 
+#: Probes of a forward query, which are broadcast.
+MOST_PROBES = 100_000
+
 
 def within(d2: Column, eps: Column, closed: bool = True, times: float = 1.0) -> Column:
     limit = eps * eps * times
@@ -19,6 +23,9 @@ def within(d2: Column, eps: Column, closed: bool = True, times: float = 1.0) ->
 def eps_forward(points: DataFrame, probes: DataFrame, eps: float, closed: bool = True) -> DataFrame:
     """(probe, id): points within eps of each probe (id, x0..), the probe itself among them. Probes are broadcast: keep them few."""
     d = dimension(points)
+    few = probes.limit(MOST_PROBES + 1).count()
+    if few > MOST_PROBES:
+        raise ValueError(f"more than {MOST_PROBES} probes; use an index's cells or split them")
     p = F.broadcast(probes.select(F.col("id").alias("probe"), *[F.col(c).alias(f"p_{c}") for c in coordinates(d)]))
     x, y = columns(coordinates(d)), columns(coordinates(d, "p_x"))
     box = in_box(x, [c - eps for c in y], [c + eps for c in y])
@@ -55,14 +62,15 @@ def _reach(points: DataFrame, rows: DataFrame, d: int, closed: bool, index: Inde
     live = eps_validate(rows, d, closed).where("alive").drop("alive")
     x = columns(coordinates(d))
     fits = within(max_dist2_of_set(x, F.col("qs"), d), F.col("eps"), closed)
+    # Objects prune nothing here: whether one is a result does not depend on the others. The filter is of the query's members only.
     if index is None and d > LONGEST_CHAIN:  # boxes say little in many dimensions
         return points.join(F.broadcast(live), fits).select("set_id", "id")
     live = eps_window(live, d)
     if index is None:
         window = in_box(x, at(F.col("lo"), d), at(F.col("hi"), d))
         return points.join(F.broadcast(live), window & fits).select("set_id", "id")
-    hit = eps_blocks(index.blocks, live, d).select(F.col("set_id").alias("owner_set"), F.col("cell").alias("hit_cell"))
-    return index.points.join(hit, F.col("cell") == F.col("hit_cell")).join(F.broadcast(live), F.col("owner_set") == F.col("set_id")).where(fits).select("set_id", "id")
+    hit = stored(eps_blocks(index.blocks, live, d).select(F.col("set_id").alias("owner_set"), F.col("cell").alias("hit_cell")), "eps-blocks")
+    return index.read(hit.select(F.col("hit_cell").alias("cell"))).join(hit, F.col("cell") == F.col("hit_cell")).join(F.broadcast(live), F.col("owner_set") == F.col("set_id")).where(fits).select("set_id", "id")
 
 
 def inverse_eps_range(points: DataFrame, sets: DataFrame, eps: float | None = None, strategy: str = "joint", closed: bool = True, include_query_objects: bool = False, candidates: DataFrame | None = None, index: Index | None = None, seed: int = 0) -> DataFrame:
@@ -78,6 +86,8 @@ def inverse_eps_range(points: DataFrame, sets: DataFrame, eps: float | None = No
         fits = F.forall("qs", lambda q: within(dist2(columns(coordinates(d)), at(q["x"], d)), F.col("eps"), closed))
         found = pool.join(F.broadcast(rows), fits).select("set_id", "id")
     elif strategy == "naive":
+        found = iterated(rows, lambda one: _reach(pool, one, d, closed, index))
+    elif strategy == "naive_at_once":
         each = _reach(pool, singletons(rows), d, closed, index)
         found = intersected(each.join(F.broadcast(rows.select(F.col("set_id").alias("w"), F.col("m").alias("owner_m"))), F.col("set_id.owner") == F.col("w")).select(F.col("set_id.owner").alias("owner"), "owner_m", "id"))
     elif strategy == "single":
@@ -105,12 +115,12 @@ def eps_result_counts(index: Index, sets: DataFrame, eps: float) -> DataFrame:
     """(set_id, n): numbers of results with members of Q among them; inner blocks are counted unread."""
     rows = gathered(index.points.drop("cell"), sets).withColumn("eps", F.lit(float(eps)))
     live = eps_window(eps_validate(rows, index.d).where("alive"), index.d)
-    hit = eps_blocks(index.blocks, live, index.d)
+    hit = stored(eps_blocks(index.blocks, live, index.d), "eps-blocks")
     whole = hit.where("inner").groupBy("set_id").agg(F.sum("cnt").alias("n"))
     part = hit.where(~F.col("inner")).select(F.col("set_id").alias("s"), F.col("cell").alias("hit_cell"))
     fits = within(max_dist2_of_set(columns(coordinates(index.d)), F.col("qs"), index.d), F.col("eps"))
-    read = index.points.join(part, F.col("cell") == F.col("hit_cell")).join(F.broadcast(live), F.col("s") == F.col("set_id")).where(fits).groupBy("set_id").agg(F.count("*").alias("n"))
+    read = index.read(part.select(F.col("hit_cell").alias("cell"))).join(part, F.col("cell") == F.col("hit_cell")).join(F.broadcast(live), F.col("s") == F.col("set_id")).where(fits).groupBy("set_id").agg(F.count("*").alias("n"))
     return whole.unionByName(read).groupBy("set_id").agg(F.sum("n").alias("n"))
 
 
-__all__ = ["eps_blocks", "eps_forward", "eps_result_counts", "eps_validate", "eps_window", "inverse_eps_range", "small"]
+__all__ = ["eps_blocks", "eps_forward", "eps_result_counts", "eps_validate", "eps_window", "inverse_eps_range"]

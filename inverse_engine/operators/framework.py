@@ -2,21 +2,20 @@
 
 from __future__ import annotations
 
-import time
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from inverse_engine.functions.geometry import columns, coordinates, total
 from inverse_engine.operators.eps_range import inverse_eps_range
 from inverse_engine.operators.knn import inverse_knn
 from inverse_engine.operators.skyline import inverse_dynamic_skyline
 from inverse_engine.plans.blocks import Index
+from inverse_engine.plans.store import stored
 from inverse_engine.sources.points import dimension, lattice
 
-STRATEGIES = ("joint", "single", "naive", "brute")
+STRATEGIES = ("joint", "single", "naive", "naive_at_once", "brute")
 
 
 @dataclass(frozen=True)
@@ -48,8 +47,10 @@ def inverse(points: DataFrame, sets: DataFrame, predicate: EpsRange | Nearest |
     if exclude_sets is None:
         return found
     # An object goes if its own query returns any excluded member: each of them is a set of its own.
-    numbered = exclude_sets.select("set_id", "q_id").distinct().withColumn("n", F.row_number().over(Window.orderBy("set_id", "q_id")).cast("long"))
-    alone = run(numbered.select(F.col("n").alias("set_id"), "q_id", *[c for c in exclude_sets.columns if c not in ("set_id", "q_id")]))
+    extra = [c for c in exclude_sets.columns if c not in ("set_id", "q_id")]
+    numbered = exclude_sets.groupBy("set_id", "q_id").agg(*[F.min(c).alias(c) for c in extra], F.lit(1).alias("one")).drop("one")
+    numbered = stored(numbered.withColumn("n", F.monotonically_increasing_id()), "excluded-members")  # numbers are fixed as they are written
+    alone = run(numbered.select(F.col("n").alias("set_id"), "q_id", *extra))
     owners = F.broadcast(numbered.select(F.col("n").alias("set_id"), F.col("set_id").alias("owner")))
     banned = alone.join(owners, "set_id").select(F.col("owner").alias("set_id"), "id").distinct()
     return found.join(banned, ["set_id", "id"], "left_anti")
@@ -93,29 +94,3 @@ def cardinality(found: DataFrame, sets: DataFrame) -> DataFrame:
     """(n_sets, n_results, mean_results): empty sets count."""
     n = sets.select("set_id").distinct().agg(F.count("*").alias("n_sets"))
     return n.join(found.agg(F.count("*").alias("n_results"))).withColumn("mean_results", F.col("n_results") / F.col("n_sets"))
-
-
-def blocks_read(index: Index, sets: DataFrame, predicate: EpsRange, strategy: str = "joint") -> DataFrame:
-    """(set_id, requested, read, pages) of a range query: block requests with repetitions, without, and their pages of 1 KB."""
-    from inverse_engine.operators.common import chosen_member, gathered, singletons
-    from inverse_engine.operators.eps_range import eps_blocks, eps_validate, eps_window
-
-    rows = gathered(index.points.drop("cell"), sets).withColumn("eps", F.lit(predicate.eps))
-    asked = {"joint": rows, "naive": singletons(rows), "single": chosen_member(rows, 0)}[strategy]
-    live = eps_window(eps_validate(asked, index.d, predicate.closed).where("alive"), index.d)
-    hit = eps_blocks(index.blocks, live, index.d).withColumn("set_id", F.col("set_id.owner") if strategy == "naive" else F.col("set_id"))
-    if strategy == "single":  # each candidate's own query reads its neighbourhood; a buffer keeps what was read
-        x = columns(coordinates(index.d))
-        near = index.points.join(hit.select("set_id", F.col("cell").alias("c")), F.col("cell") == F.col("c")).drop("c", "cell").join(F.broadcast(rows.select("set_id", "eps")), "set_id")
-        probes = near.withColumn("qs", F.array(F.struct(F.col("id").alias("q"), F.array(*x).alias("x")))).withColumn("m", F.lit(1))
-        hit = hit.select("set_id", "cell", "cnt").unionByName(eps_blocks(index.blocks, eps_window(probes.select("set_id", "eps", "qs", "m"), index.d), index.d).select("set_id", "cell", "cnt"))
-    once = hit.groupBy("set_id", "cell").agg(F.count("*").alias("times"), F.first("cnt").alias("cnt"))
-    pages = F.ceil(F.col("cnt") * (8 * index.d + 8) / 1024)
-    return once.groupBy("set_id").agg(F.sum("times").alias("requested"), F.count("*").alias("read"), F.sum(pages).cast("long").alias("pages"))
-
-
-def run_costs(name: str, frame: DataFrame) -> dict[str, object]:
-    """Seconds and rows of one run of a method."""
-    began = time.time()
-    rows = frame.count()
-    return {"method": name, "rows": rows, "seconds": time.time() - began}

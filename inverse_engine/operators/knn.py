@@ -10,29 +10,47 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from inverse_engine.functions.geometry import all_of, any_of, at, box_dominates, box_max_dist2, box_min_dist2, columns, coordinates, dist2, furthest, precedes, total
-from inverse_engine.operators.common import chosen_member, gathered, intersected, singletons
-from inverse_engine.plans.blocks import Index, build_index, small
+from inverse_engine.functions.geometry import all_of, any_of, at, box_dominates, box_gap2, box_max_dist2, box_min_dist2, columns, coordinates, dist2, furthest, max_dist2_of_set, precedes, total
+from inverse_engine.operators.common import chosen_member, gathered, intersected, iterated, singletons, without_queries
+from inverse_engine.plans.blocks import Index, build_index, meeting, top_level
+from inverse_engine.plans.store import stored
 from inverse_engine.sources.points import dimension
 
-#: Nearest points that each set prunes candidates with, as a multiple of k; simplices of a hull at most; tolerance inside them.
-PRUNERS, SIMPLICES, INSIDE = 2, 210, 1e-9
+#: Points of the blocks that prune blocks, as a multiple of k; points that prune candidates, as a multiple of k, and over all sets at most.
+PRUNERS, POINT_PRUNERS, MOST_POINT_PRUNERS = 2, 4, 1_000_000
+#: Simplices of a hull at most, dimensions up to which hulls are used, tolerance inside them.
+SIMPLICES, HULL_DIMENSIONS, INSIDE = 210, 5, 1e-9
+#: Side of the cells that candidates are refined together in, as a share of the unit.
+BATCH_SIDE = 1 / 16
 
 
-def knn(points: DataFrame, probes: DataFrame, k: int, index: Index | None = None) -> DataFrame:
-    """(probe, id, rank, d2): the k-set of each probe (id, x0..); a probe's own id does not count.
+def knn_reads(index: Index, probes: DataFrame, k: int) -> DataFrame:
+    """(probe, cell, p_x..): the blocks that hold each probe's k-set, found from the larger cells down.
+
+    The nearest boxes that hold k + 1 points bound the radius: first those of the top level, then blocks within that bound."""
+    d = index.d
+    p = probes.select(F.col("id").alias("probe"), *[F.col(c).alias(f"p_{c}") for c in coordinates(d)])
+    y = columns(coordinates(d, "p_x"))
+
+    def limit(boxes: DataFrame) -> DataFrame:
+        """Adds limit: a distance within which the given boxes hold more than k points (the probe itself may be one), if they do."""
+        far = box_max_dist2(at(F.col("lo"), d), at(F.col("hi"), d), y)
+        upto = boxes.withColumn("far", far).withColumn("upto", F.sum("cnt").over(Window.partitionBy("probe").orderBy("far", "cell")))
+        return upto.withColumn("limit", F.min(F.when(F.col("upto") > k, F.col("far"))).over(Window.partitionBy("probe")))
+
+    top, _ = top_level(index, "cell")
+    bound = limit(p.join(F.broadcast(top))).groupBy("probe", *[f"p_{c}" for c in coordinates(d)]).agg(F.first("limit").alias("most"))
+    reached = meeting(index, bound, lambda lo, hi: F.col("most").isNull() | (box_min_dist2(lo, hi, y) <= F.col("most")))
+    near = F.col("limit").isNull() | (box_min_dist2(at(F.col("lo"), d), at(F.col("hi"), d), y) <= F.col("limit"))
+    return limit(reached).where(near).select("probe", "cell", *[f"p_{c}" for c in coordinates(d)])
 
-    Blocks bound each probe's radius first: the nearest blocks that hold k + 1 points are within it."""
+
+def knn(points: DataFrame, probes: DataFrame, k: int, index: Index | None = None) -> DataFrame:
+    """(probe, id, rank, d2): the k-set of each probe (id, x0..); a probe's own id does not count."""
     d = dimension(points)
     index = index or build_index(points)
-    p = probes.select(F.col("id").alias("probe"), *[F.col(c).alias(f"p_{c}") for c in coordinates(d)])
     y = columns(coordinates(d, "p_x"))
-    boxes = small(index.blocks)
-    reach = p.join(boxes).select("probe", "cell", "cnt", box_max_dist2(at(F.col("lo"), d), at(F.col("hi"), d), y).alias("far"), box_min_dist2(at(F.col("lo"), d), at(F.col("hi"), d), y).alias("near"))
-    upto = F.sum("cnt").over(Window.partitionBy("probe").orderBy("far", "cell"))
-    limit = F.min(F.when(F.col("upto") > k, F.col("far"))).over(Window.partitionBy("probe"))
-    read = reach.withColumn("upto", upto).withColumn("limit", limit).where(F.col("limit").isNull() | (F.col("near") <= F.col("limit"))).select("probe", "cell")
-    near = read.join(p, "probe").join(index.points, "cell").where(F.col("probe") != F.col("id")).select("probe", "id", dist2(columns(coordinates(d)), y).alias("d2"))
+    near = knn_reads(index, probes, k).join(index.points, "cell").where(F.col("probe") != F.col("id")).select("probe", "id", dist2(columns(coordinates(d)), y).alias("d2"))
     rank = F.row_number().over(Window.partitionBy("probe").orderBy("d2", "id"))
     return near.withColumn("rank", rank).where(F.col("rank") <= k)
 
@@ -47,10 +65,24 @@ def reduced_k(k: Column | int, m: Column | int) -> Column | int:
     return k - m + 1
 
 
-def hulls(rows: DataFrame, d: int, kind: str = "auto") -> DataFrame:
+def convex_ring(x: np.ndarray) -> list[int]:
+    """Places of the corners of the convex hull of points of two dimensions, around it: two monotone chains."""
+    order = sorted(range(len(x)), key=lambda i: (x[i, 0], x[i, 1]))
+    ring: list[int] = []
+    for way in (order, order[::-1]):
+        chain: list[int] = []
+        for i in way:
+            while len(chain) > 1 and np.cross(np.append(x[chain[-1]] - x[chain[-2]], 0), np.append(x[i] - x[chain[-2]], 0))[2] <= 0:
+                chain.pop()
+            chain.append(i)
+        ring += chain[:-1]
+    return ring
+
+
+def hulls(rows: DataFrame, d: int) -> DataFrame:
     """(set_id, simplices array<array<double>>): affine maps, d + 1 rows of d + 1 numbers each; a point is inside a simplex if all
-    its barycentric coordinates exceed INSIDE. In one dimension an interval, in two a fan of triangles, above that at most
-    SIMPLICES simplices of members: missing ones only loosen the bounds."""
+    its barycentric coordinates exceed INSIDE. In one dimension an interval, in two the triangles of the convex polygon, above that at
+    most SIMPLICES simplices of members. Missing ones (and what lies on their faces) only loosen the bounds."""
 
     def build(frame: pd.DataFrame) -> pd.DataFrame:
         out = []
@@ -58,11 +90,15 @@ def hulls(rows: DataFrame, d: int, kind: str = "auto") -> DataFrame:
             x = np.array([list(q["x"]) for q in qs], dtype=np.float64).reshape(len(qs), -1)[:, :d]
             maps: list[list[float]] = []
             corners = combinations(range(len(x)), d + 1)
-            if d <= 2:
-                order = np.argsort(np.arctan2(x[:, -1] - x[:, -1].mean(), x[:, 0] - x[:, 0].mean())) if d == 2 else np.argsort(x[:, 0])
-                corners = [(order[0], order[i], order[i + 1]) for i in range(1, len(order) - 1)] + list(combinations(range(len(x)), 3)) if d == 2 else [(order[0], order[-1])]
+            if d == 1:
+                order = np.argsort(x[:, 0])
+                corners = [(order[0], order[-1])]
+            elif d == 2:
+                ring = convex_ring(x)
+                # Two fans: what lies on a diagonal of one is inside the other.
+                corners = [(r[0], r[i], r[i + 1]) for r in (ring, ring[1:] + ring[:1]) for i in range(1, len(r) - 1)]
             for c in corners:
-                if len(maps) >= SIMPLICES or kind == "off":
+                if len(maps) >= SIMPLICES:
                     break
                 a = np.vstack([x[list(c)].T, np.ones(len(c))])
                 if a.shape[0] == a.shape[1] and abs(np.linalg.det(a)) > 1e-12:
@@ -99,47 +135,133 @@ def hull_members(points: DataFrame, rows: DataFrame, d: int) -> DataFrame:
     return points.join(shaped, ends & in_hull(x, F.col("simplices")) & apart).select("set_id", "id")
 
 
+def members_box(rows: DataFrame, d: int) -> DataFrame:
+    """Adds q_lo, q_hi: the box of the members."""
+    ends = lambda i, f: f(F.transform("qs", lambda q: F.get(q["x"], F.lit(i))))
+    return rows.withColumn("q_lo", F.array(*[ends(i, F.array_min) for i in range(d)])).withColumn("q_hi", F.array(*[ends(i, F.array_max) for i in range(d)]))
+
+
+def _apart(lo: list[Column], hi: list[Column], d: int) -> Column:
+    """Is the box apart from the members' box, and so from the hull and all members?"""
+    return any_of([(a > z) | (b < y) for a, b, y, z in zip(lo, hi, at(F.col("q_lo"), d), at(F.col("q_hi"), d), strict=True)])
+
+
+def hull_counts(index: Index, rows: DataFrame) -> DataFrame:
+    """(set_id, h): how many points the hull holds, members and their places aside. A block inside the hull without a member in its
+    box counts unread; of the others that meet the members' box the points are read."""
+    d = index.d
+    boxed = members_box(rows.select("set_id", "qs"), d).join(hulls(rows, d), "set_id")
+    lo, hi = at(F.col("lo"), d), at(F.col("hi"), d)
+    met = index.blocks.join(F.broadcast(boxed), ~_apart(lo, hi, d))
+    holds = F.exists("qs", lambda q: all_of([(a <= x) & (x <= b) for a, b, x in zip(lo, hi, at(q["x"], d), strict=True)]))
+    met = met.select("set_id", "cell", "cnt", (block_in_hull(lo, hi, F.col("simplices")) & ~holds).alias("inside"))
+    whole = met.where("inside").groupBy("set_id").agg(F.sum("cnt").alias("h"))
+    part = met.where(~F.col("inside")).select(F.col("set_id").alias("s"), F.col("cell").alias("met_cell"))
+    near = index.read(part.select(F.col("met_cell").alias("cell"))).join(F.broadcast(part), F.col("cell") == F.col("met_cell"))
+    x = columns(coordinates(d))
+    apart = F.forall("qs", lambda q: (q["q"] != F.col("id")) & (dist2(x, at(q["x"], d)) > 0))
+    read = near.join(F.broadcast(boxed), (F.col("s") == F.col("set_id")) & in_hull(x, F.col("simplices")) & apart).groupBy("set_id").agg(F.count("*").alias("h"))
+    return whole.unionByName(read).groupBy("set_id").agg(F.sum("h").alias("h"))
+
+
 def hull_bound(k: Column | int, h: Column | int, m: Column | int, inside: bool) -> Column | int:
     """How many objects outside hull and Q may be nearer than the furthest member."""
     return k - h - m + int(inside)
 
 
-def prune_counters(index: Index, rows: DataFrame) -> DataFrame:
-    """(set_id, cell, counter): a lower bound of the points that are nearer than Q's furthest member to every point of the block.
-
-    Only blocks near Q prune: by ascending MaxDist up to PRUNERS * k + m points for each set."""
+def _nearest_blocks(index: Index, rows: DataFrame) -> DataFrame:
+    """(set_id, p_cell, p_lo, p_hi, p_cnt): blocks by their largest distance to Q, up to PRUNERS * k + m points of each set."""
     d = index.d
-    boxes = small(index.blocks)
     lo, hi = at(F.col("lo"), d), at(F.col("hi"), d)
     far = F.array_max(F.transform("qs", lambda q: box_max_dist2(lo, hi, at(q["x"], d))))
     order = F.sum("cnt").over(Window.partitionBy("set_id").orderBy("far", "cell"))
-    ranked = boxes.join(F.broadcast(rows)).withColumn("far", far).select("set_id", "k", "m", "cell", "lo", "hi", "cnt", "far").withColumn("upto", order)
-    pruners = ranked.where(F.col("upto") - F.col("cnt") <= PRUNERS * F.col("k") + F.col("m")).select("set_id", F.col("cell").alias("p_cell"), F.col("lo").alias("p_lo"), F.col("hi").alias("p_hi"), F.col("cnt").alias("p_cnt"))
-    packed = pruners.groupBy("set_id").agg(F.collect_list(F.struct("p_cell", "p_lo", "p_hi", "p_cnt")).alias("pruners"))
-    both = rows.join(packed, "set_id", "left")
+    # Only blocks that begin within the largest distance of the nearest ones can be among them.
+    top, _ = top_level(index, "cell")
+    some = top.join(F.broadcast(rows)).withColumn("far", far).withColumn("upto", order).where(F.col("upto") - F.col("cnt") <= PRUNERS * F.col("k") + F.col("m"))
+    reach = some.groupBy("set_id").agg(F.max("far").alias("reach"))
+    asked = rows.select("set_id", "k", "m", "qs").join(F.broadcast(reach), "set_id")
+    near = meeting(index, asked, lambda a, b: F.array_max(F.transform("qs", lambda q: box_min_dist2(a, b, at(q["x"], d)))) <= F.col("reach"))
+    ranked = near.withColumn("far", far).withColumn("upto", order).where(F.col("upto") - F.col("cnt") <= PRUNERS * F.col("k") + F.col("m"))
+    return ranked.select("set_id", F.col("cell").alias("p_cell"), F.col("lo").alias("p_lo"), F.col("hi").alias("p_hi"), F.col("cnt").alias("p_cnt"))
+
+
+def prune_counters(index: Index, rows: DataFrame) -> DataFrame:
+    """(set_id, k, m, cell, cnt, counter, beyond, apart): lower bounds of the points that are nearer than Q's furthest member to every
+    point of the block, all of them (counter) and those of blocks apart from the members' box (beyond); whether the block itself is
+    apart from that box. Only blocks near Q prune."""
+    d = index.d
+    lo, hi = at(F.col("lo"), d), at(F.col("hi"), d)
+    packed = _nearest_blocks(index, rows).groupBy("set_id").agg(F.collect_list(F.struct("p_cell", "p_lo", "p_hi", "p_cnt")).alias("pruners"))
+    both = members_box(rows.select("set_id", "k", "m", "qs"), d).join(packed, "set_id", "left")
     sure = lambda p: F.exists("qs", lambda q: box_dominates(lo, hi, at(p["p_lo"], d), at(p["p_hi"], d), at(q["x"], d)))
-    counted = F.aggregate(F.coalesce("pruners", F.array().cast("array<struct<p_cell:bigint,p_lo:array<double>,p_hi:array<double>,p_cnt:bigint>>")), F.lit(0).cast("long"), lambda n, p: n + F.when((p["p_cell"] != F.col("cell")) & sure(p), p["p_cnt"]).otherwise(F.lit(0)))
-    return boxes.join(F.broadcast(both)).select("set_id", "k", "m", "cell", "cnt", counted.alias("counter"))
+    kind = "array<struct<p_cell:bigint,p_lo:array<double>,p_hi:array<double>,p_cnt:bigint>>"
+    won = F.filter(F.coalesce("pruners", F.array().cast(kind)), lambda p: (p["p_cell"] != F.col("cell")) & sure(p))
+    count = lambda of: F.aggregate(of, F.lit(0).cast("long"), lambda n, p: n + p["p_cnt"])
+    counted = index.blocks.join(F.broadcast(both)).withColumn("won", won)
+    return counted.select("set_id", "k", "m", "cell", "cnt", count(F.col("won")).alias("counter"), count(F.filter("won", lambda p: _apart(at(p["p_lo"], d), at(p["p_hi"], d), d))).alias("beyond"), _apart(lo, hi, d).alias("apart"))
 
 
-def _accepted(reached: DataFrame, index: Index, include_query_objects: bool, mono: bool = True) -> DataFrame:
-    """(set_id, id) of candidates (set_id, k, m, qs, id, x..) of which at most k - 1 others precede the furthest member."""
+def point_pruners(index: Index, rows: DataFrame) -> DataFrame:
+    """(set_id, near): the points nearest to all of Q, by their largest distance, POINT_PRUNERS * k of them, or as many as
+    MOST_POINT_PRUNERS leaves to each set."""
+    d = index.d
+    x = columns(coordinates(d))
+    share = max(1, MOST_POINT_PRUNERS // max(1, rows.count()))
+    blocks = _nearest_blocks(index, rows).select("set_id", F.col("p_cell").alias("cell"))
+    near = index.read(blocks).join(F.broadcast(blocks), "cell").join(F.broadcast(rows.select("set_id", "k", "qs")), "set_id")
+    far = near.select("set_id", "k", "id", F.array(*x).alias("x"), max_dist2_of_set(x, F.col("qs"), d).alias("far"))
+    rank = F.row_number().over(Window.partitionBy("set_id").orderBy("far", "id"))
+    kept = far.withColumn("r", rank).where(F.col("r") <= F.least(F.col("k") * POINT_PRUNERS, F.lit(share)))
+    return kept.groupBy("set_id").agg(F.collect_list(F.struct("id", "x")).alias("near"))
+
+
+def _few_ahead(near: DataFrame, d: int, mono: bool, hull: bool) -> DataFrame:
+    """Candidates (with qs, near, and for the hull q_lo, q_hi, h) that the points near Q do not rule out."""
+    x = columns(coordinates(d))
+    ref = furthest(x, F.filter("qs", lambda q: q["q"] != F.col("id")) if mono else F.col("qs"), d)
+    near = near.withColumn("ref", ref)
+    ahead = F.filter("near", lambda p: ((p["id"] != F.col("id")) if mono else F.lit(True)) & precedes(dist2(x, at(p["x"], d)), p["id"], F.col("ref.d2"), F.col("ref.q")))
+    near = near.withColumn("ahead", F.transform(ahead, lambda p: p["x"])).where(F.size("ahead") < F.col("k"))
+    if hull:
+        beyond = F.size(F.filter("ahead", lambda p: _apart(at(p, d), at(p, d), d)))
+        near = near.where(beyond <= hull_bound(F.col("k"), F.col("h"), F.col("m"), True) - _apart(x, x, d).cast("int"))
+    return near.drop("ref", "ahead")
+
+
+def _refinement_reads(reached: DataFrame, index: Index, include_query_objects: bool, mono: bool) -> tuple[DataFrame, DataFrame]:
+    """For candidates (set_id, k, m, qs, id, x..): (set_id, c, covered, places) with the points of blocks that count unread, and
+    (set_id, c, cell, r2, rq, c_x..), the blocks that must be read, of candidates that those leave open.
+
+    Candidates of one cell of side BATCH_SIDE look for their blocks together."""
     d = index.d
     x = columns(coordinates(d))
     own = F.exists("qs", lambda q: q["q"] == F.col("id")) if mono else F.lit(False)
     others = F.filter("qs", lambda q: q["q"] != F.col("id")) if mono else F.col("qs")
     ref = reached.withColumn("own", own).where(F.lit(include_query_objects) | ~F.col("own")).withColumn("others", others).where(F.size("others") > 0)
     ref = ref.withColumn("ref", furthest(x, F.col("others"), d)).withColumn("places", F.col("k") - F.col("own").cast("int") - 1)
-    probe = ref.select("set_id", F.col("id").alias("c"), F.struct(*x).alias("cx"), F.col("ref.d2").alias("r2"), F.col("ref.q").alias("rq"), "places", *[F.col(n).alias(f"c_{n}") for n in coordinates(d)])
+    batch = F.hash(*[F.floor(c / BATCH_SIDE) for c in x])
+    probe = ref.select("set_id", F.col("id").alias("c"), F.col("ref.d2").alias("r2"), F.col("ref.q").alias("rq"), "places", batch.alias("batch"), *[F.col(n).alias(f"c_{n}") for n in coordinates(d)])
     y = columns(coordinates(d, "c_x"))
-    boxes = small(index.blocks)
+    sides = [F.array(*[f(c) for c in y]).alias(n) for n, f in (("b_lo", F.min), ("b_hi", F.max))]
+    batches = probe.groupBy("set_id", "batch").agg(*sides, F.max("r2").alias("r2"))
+    b_lo, b_hi = at(F.col("b_lo"), d), at(F.col("b_hi"), d)
+    # The gap of boxes is summed in another order than a point's distance: a little more is let through.
+    hit = meeting(index, batches, lambda lo, hi: box_gap2(b_lo, b_hi, lo, hi) <= F.col("r2") * (1 + 1e-9) + 1e-300).select("set_id", "batch", "cell", "lo", "hi", "cnt")
     lo, hi = at(F.col("lo"), d), at(F.col("hi"), d)
     near, far = box_min_dist2(lo, hi, y), box_max_dist2(lo, hi, y)
     # Blocks wholly within the ball count unread; an object's own block is never among them, as its reading settles ties and itself.
-    hit = probe.join(boxes, near <= F.col("r2")).withColumn("whole", (far < F.col("r2")) & ~(all_of([(a >= l) & (a <= h) for a, l, h in zip(y, lo, hi, strict=True)])))
+    hit = probe.join(hit, ["set_id", "batch"]).where(near <= F.col("r2")).withColumn("whole", (far < F.col("r2")) & ~(all_of([(a >= l) & (a <= h) for a, l, h in zip(y, lo, hi, strict=True)])))
     covered = hit.groupBy("set_id", "c").agg(F.sum(F.when(F.col("whole"), F.col("cnt")).otherwise(F.lit(0))).alias("covered"), F.first("places").alias("places"))
     open_ = covered.where(F.col("covered") <= F.col("places"))
     part = hit.where(~F.col("whole")).select("set_id", "c", "r2", "rq", "cell", *[f"c_{n}" for n in coordinates(d)]).join(open_.select("set_id", "c"), ["set_id", "c"], "left_semi")
+    return open_, part
+
+
+def _accepted(reached: DataFrame, index: Index, include_query_objects: bool, mono: bool = True) -> DataFrame:
+    """(set_id, id) of candidates (set_id, k, m, qs, id, x..) of which at most k - 1 others precede the furthest member."""
+    d = index.d
+    open_, part = _refinement_reads(reached, index, include_query_objects, mono)
+    x, y = columns(coordinates(d)), columns(coordinates(d, "c_x"))
     same = (F.col("id") != F.col("c")) if mono else F.lit(True)
     ahead = precedes(dist2(x, y), F.col("id"), F.col("r2"), F.col("rq"))
     counted = part.join(index.points, "cell").where(same & ahead).groupBy("set_id", "c").agg(F.count("*").alias("n"))
@@ -147,25 +269,44 @@ def _accepted(reached: DataFrame, index: Index, include_query_objects: bool, mon
     return done.select("set_id", F.col("c").alias("id"))
 
 
-def _candidates(index: Index, rows: DataFrame, pool: DataFrame | None, hull: bool, include_query_objects: bool) -> DataFrame:
-    """(set_id, k, m, qs, id, x..) that no filter removes. Exactness is left to refinement: every filter here is sound."""
-    d = index.d
-    x = columns(coordinates(d))
-    if pool is not None:
-        return pool.join(F.broadcast(rows)).select("set_id", "k", "m", "qs", "id", *coordinates(d))
-    alive = prune_counters(index, rows).where(F.col("counter") < F.col("k"))
-    near = index.points.join(alive.select("set_id", "cell"), "cell").join(F.broadcast(rows), "set_id")
-    if hull and d <= 3:
-        inside = hull_members(index.points.drop("cell"), rows, d).groupBy("set_id").agg(F.count("*").alias("h"))
-        near = near.join(F.broadcast(inside), "set_id", "left").withColumn("h", F.coalesce("h", F.lit(0)))
+def alive_blocks(index: Index, rows: DataFrame, hull: bool, include_query_objects: bool = False) -> tuple[DataFrame, DataFrame]:
+    """(set_id, cell) of the blocks that no counter removes, and the rows of sets that may have results, with h where hulls are used.
+
+    Exactness is left to refinement: every filter here is sound. Where members may be results, the hull's bounds are not used."""
+    use = hull and index.d <= HULL_DIMENSIONS and not include_query_objects
+    if use:
         # Outside the hull at most k - h - m others may be nearer, inside one more: below zero nobody is left.
-        left = F.lit(include_query_objects) | (hull_bound(F.col("k"), F.col("h"), F.col("m"), True) >= 0)
-        near = near.where(left).drop("h")
-    return near.select("set_id", "k", "m", "qs", "id", *x)
+        rows = members_box(rows, index.d).join(F.broadcast(hull_counts(index, rows)), "set_id", "left").withColumn("h", F.coalesce("h", F.lit(0)))
+        rows = stored(rows.where(hull_bound(F.col("k"), F.col("h"), F.col("m"), True) >= 0), "knn-live-sets")
+    counters = prune_counters(index, rows).where(F.col("counter") < F.col("k"))
+    if use:
+        counters = counters.join(F.broadcast(rows.select("set_id", "h")), "set_id").where(F.col("beyond") <= hull_bound(F.col("k"), F.col("h"), F.col("m"), True) - F.col("apart").cast("int"))
+    return counters.select("set_id", "cell"), rows
 
 
-def inverse_knn(points: DataFrame, sets: DataFrame, k: int | None = None, strategy: str = "joint", include_query_objects: bool = False, candidates: DataFrame | None = None, index: Index | None = None, hull: bool = True, refine: str = "range_count", seed: int = 0) -> DataFrame:
-    """(set_id, id). `sets` may hold a column k; candidates: objects of another table, of which none is a point."""
+def _candidates(index: Index, rows: DataFrame, pool: DataFrame | None, hull: bool, include_query_objects: bool, prune_blocks: bool = True, prune_points: bool = True) -> DataFrame:
+    """(set_id, k, m, qs, id, x..) that no filter removes."""
+    d = index.d
+    names = coordinates(d)
+    if pool is not None:
+        near = pool.join(F.broadcast(rows))
+        use = False
+    elif prune_blocks:
+        alive, rows = alive_blocks(index, rows, hull, include_query_objects)
+        alive = stored(alive, "knn-alive-blocks")
+        near = index.read(alive).join(alive, "cell").join(F.broadcast(rows), "set_id")
+        use = "h" in rows.columns
+    else:
+        near, use = index.points.join(F.broadcast(rows)), False
+    if prune_points:
+        near = _few_ahead(near.join(F.broadcast(point_pruners(index, rows)), "set_id", "left").withColumn("near", F.coalesce("near", F.array().cast("array<struct<id:bigint,x:array<double>>>"))), d, pool is None, use)
+    return near.select("set_id", "k", "m", "qs", "id", *names)
+
+
+def inverse_knn(points: DataFrame, sets: DataFrame, k: int | None = None, strategy: str = "joint", include_query_objects: bool = False, candidates: DataFrame | None = None, index: Index | None = None, hull: bool = True, refine: str = "range_count", seed: int = 0, prune_blocks: bool = True, prune_points: bool = True) -> DataFrame:
+    """(set_id, id). `sets` may hold a column k; candidates: objects of another table, of which none is a point.
+
+    hull, prune_blocks, prune_points: filters of the joint method that can be left out; results are the same."""
     d = dimension(points)
     rows = gathered(points, sets)
     if k is not None:
@@ -176,18 +317,20 @@ def inverse_knn(points: DataFrame, sets: DataFrame, k: int | None = None, strate
         return _brute(points, rows, d, include_query_objects, candidates)
     index = index or build_index(points)
     if strategy == "joint":
-        reached = _candidates(index, rows, candidates, hull, include_query_objects)
+        reached = _candidates(index, rows, candidates, hull, include_query_objects, prune_blocks, prune_points)
         if refine == "search":
             return _searched(reached, points, index, d, include_query_objects)
         return _accepted(reached, index, include_query_objects, mono)
+    reverse = lambda one: _accepted(_candidates(index, one, candidates, False, False), index, False, mono)
     if strategy == "naive":
-        single = singletons(rows)
-        each = _accepted(_candidates(index, single, candidates, False, False), index, False, mono)
+        # A member is no result, but it is a point of the other members' queries.
+        return without_queries(iterated(rows, reverse), rows) if mono else iterated(rows, reverse)
+    if strategy == "naive_at_once":
+        each = reverse(singletons(rows))
         owners = F.broadcast(rows.select(F.col("set_id").alias("w"), F.col("m").alias("owner_m")))
         return intersected(each.join(owners, F.col("set_id.owner") == F.col("w")).select(F.col("set_id.owner").alias("owner"), "owner_m", "id"))
     if strategy == "single":
-        one = chosen_member(rows, seed)
-        reached = _accepted(_candidates(index, one.drop("all_qs", "all_m"), candidates, False, False), index, False, mono)
+        reached = reverse(chosen_member(rows, seed).drop("all_qs", "all_m"))
         pool = points if mono else candidates
         back = reached.join(F.broadcast(rows), "set_id").join(pool, "id").select("set_id", "k", "m", "qs", "id", *coordinates(d))
         return _searched(back, points, index, d, False) if mono else _accepted(back, index, False, False)
@@ -223,4 +366,4 @@ def _brute(points: DataFrame, rows: DataFrame, d: int, include_query_objects: bo
     return counted.where(F.col("n") <= F.col("k") - F.col("own").cast("int") - 1).select("set_id", F.col("c").alias("id"))
 
 
-__all__ = ["any_of", "hull_bound", "hull_members", "inverse_knn", "knn", "prune_counters", "reduced_k"]
+__all__ = ["hull_bound", "hull_counts", "hull_members", "inverse_knn", "knn", "prune_counters", "reduced_k"]

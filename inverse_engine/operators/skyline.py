@@ -10,13 +10,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from inverse_engine.functions.geometry import all_of, at, box_in_pruning_region, columns, coordinates, dominates, in_pruning_region, max_dist2_of_set, orthant
-from inverse_engine.operators.common import chosen_member, gathered, intersected, singletons, without_queries
-from inverse_engine.plans.blocks import Index, build_index, small
+from inverse_engine.functions.geometry import all_of, any_of, at, box_in_pruning_region, box_max_dist2, columns, coordinates, dominates, in_pruning_region, orthant
+from inverse_engine.operators.common import chosen_member, gathered, intersected, iterated, singletons, without_queries
+from inverse_engine.plans.blocks import Index, build_index, meeting
+from inverse_engine.plans.store import stored
 from inverse_engine.sources.points import dimension
 
-#: Points near Q that prune candidates of each set.
-PRUNERS = 48
+#: Points near Q that prune candidates of each set: around each member, so many of each orthant. Probes of a forward query at most.
+PRUNERS, MOST_PROBES = 6, 20_000
 #: Dimensions up to which orthants are tested for members.
 MOST_ORTHANTS = 5
 
@@ -54,8 +55,12 @@ def skyline(points: DataFrame, by: list[str] | None = None) -> DataFrame:
 
 
 def dynamic_skyline(points: DataFrame, probes: DataFrame) -> DataFrame:
-    """(probe, id): the points that no other point beats at every |x - probe|; the probe's own id does not count. Probes are few."""
+    """(probe, id): the points that no other point beats at every |x - probe|; the probe's own id does not count.
+
+    Probes are broadcast, and each is paired with all points: more than MOST_PROBES raise."""
     d = dimension(points)
+    if probes.limit(MOST_PROBES + 1).count() > MOST_PROBES:
+        raise ValueError(f"more than {MOST_PROBES} probes; refine by mirror boxes instead")
     p = F.broadcast(probes.select(F.col("id").alias("probe"), *[F.col(c).alias(f"p_{c}") for c in coordinates(d)]))
     moved = points.join(p, F.col("id") != F.col("probe")).select("probe", "id", *[F.abs(F.col(c) - F.col(f"p_{c}")).alias(c) for c in coordinates(d)])
     return skyline(moved, ["probe"]).select("probe", "id")
@@ -134,27 +139,43 @@ def staircase_pruned(p: list):
     return F.exists("steps", lambda s: inside(s) & strict(s))
 
 
-def _prunable(points: DataFrame, rows: DataFrame, d: int) -> DataFrame:
-    """rows with `pruners`: the PRUNERS points nearest to all of Q, by their largest distance."""
-    far = points.join(F.broadcast(rows.select("set_id", "qs"))).select("set_id", "id", F.array(*columns(coordinates(d))).alias("x"), max_dist2_of_set(columns(coordinates(d)), F.col("qs"), d).alias("far"))
-    nearest = F.row_number().over(Window.partitionBy("set_id").orderBy("far", "id"))
-    packed = far.withColumn("r", nearest).where(F.col("r") <= PRUNERS).groupBy("set_id").agg(F.collect_list(F.struct(F.col("id").alias("q"), "x")).alias("pruners"))
-    return rows.join(packed, "set_id")
-
+def _prunable(index: Index, rows: DataFrame, d: int) -> DataFrame:
+    """rows with `pruners`: around each member, the PRUNERS points of each orthant that are nearest by their largest difference.
 
-def _refined(reached: DataFrame, index: Index, mono: bool) -> DataFrame:
-    """(set_id, id) of candidates (set_id, qs, id, x..) none of whose mirror boxes holds a blocker."""
+    They come from the blocks within the distance that holds enough points in all; orthants beyond MOST_ORTHANTS dimensions are one."""
+    x = columns(coordinates(d))
+    many = PRUNERS << min(d, MOST_ORTHANTS)
+    one = rows.select("set_id", F.explode("qs").alias("member"))
+    asked = one.select("set_id", F.col("member.q").alias("owner"), F.col("member.x").alias("at"))
+    here = at(F.col("at"), d)
+    lo, hi = at(F.col("lo"), d), at(F.col("hi"), d)
+    order = F.sum("cnt").over(Window.partitionBy("set_id", "owner").orderBy("far", "cell"))
+    ranked = index.blocks.join(F.broadcast(asked)).withColumn("far", box_max_dist2(lo, hi, here)).withColumn("upto", order)
+    blocks = stored(ranked.where(F.col("upto") - F.col("cnt") <= many).select("set_id", "owner", "at", "cell"), "sky-near-blocks")
+    near = index.read(blocks).join(F.broadcast(blocks), "cell").where(F.col("id") != F.col("owner"))
+    part = orthant(x, here) if d <= MOST_ORTHANTS else F.lit(0)
+    ranked = near.select("set_id", "owner", "id", F.array(*x).alias("x"), part.alias("part"), F.greatest(*[F.abs(a - b) for a, b in zip(x, here, strict=True)], F.lit(0.0)).alias("far"))
+    nearest = F.row_number().over(Window.partitionBy("set_id", "owner", "part").orderBy("far", "id"))
+    packed = ranked.withColumn("r", nearest).where(F.col("r") <= PRUNERS).groupBy("set_id").agg(F.collect_set(F.struct(F.col("id").alias("q"), "x")).alias("pruners"))
+    return rows.join(packed, "set_id", "left").withColumn("pruners", F.coalesce("pruners", F.array().cast("array<struct<q:bigint,x:array<double>>>")))
+
+
+def _mirror_reads(reached: DataFrame, index: Index, mono: bool) -> DataFrame:
+    """(set_id, c, q, c_x.., cell): the blocks that meet the box between each member and its mirror image through each candidate."""
     d = index.d
     names = coordinates(d)
     c = reached.select("set_id", F.col("id").alias("c"), F.explode("qs").alias("q"), *[F.col(n).alias(f"c_{n}") for n in names]).where((F.col("q.q") != F.col("c")) if mono else F.lit(True))
     y, q = columns(coordinates(d, "c_x")), at(F.col("q.x"), d)
-    lo, hi = at(F.col("lo"), d), at(F.col("hi"), d)
     reach = [F.abs(a - b) for a, b in zip(q, y, strict=True)]
-    meets = all_of([(h >= a - r) & (l <= a + r) for l, h, a, r in zip(lo, hi, y, reach, strict=True)])
-    boxed = c.join(small(index.blocks), meets).select("set_id", "c", "q", *y, "cell")
-    x = columns(names)
+    return meeting(index, c, lambda lo, hi: all_of([(h >= a - r) & (l <= a + r) for l, h, a, r in zip(lo, hi, y, reach, strict=True)])).select("set_id", "c", "q", *y, "cell")
+
+
+def _refined(reached: DataFrame, index: Index, mono: bool) -> DataFrame:
+    """(set_id, id) of candidates (set_id, qs, id, x..) none of whose mirror boxes holds a blocker."""
+    d = index.d
+    y, q, x = columns(coordinates(d, "c_x")), at(F.col("q.x"), d), columns(coordinates(d))
     other = (F.col("id") != F.col("q.q")) & ((F.col("id") != F.col("c")) if mono else F.lit(True))
-    blocked = boxed.join(index.points, "cell").where(other & dominates(x, q, y)).select("set_id", F.col("c").alias("id")).distinct()
+    blocked = _mirror_reads(reached, index, mono).join(index.points, "cell").where(other & dominates(x, q, y)).select("set_id", F.col("c").alias("id")).distinct()
     return reached.select("set_id", "id").join(blocked, ["set_id", "id"], "left_anti")
 
 
@@ -167,22 +188,33 @@ def _searched(reached: DataFrame, points: DataFrame) -> DataFrame:
     return reached.select("set_id", "id").join(lost, ["set_id", "id"], "left_anti")
 
 
-def _candidates(points: DataFrame, rows: DataFrame, index: Index, pool: DataFrame | None, include_query_objects: bool) -> DataFrame:
+def alive_blocks(index: Index, rows: DataFrame, include_query_objects: bool = False) -> tuple[DataFrame, DataFrame]:
+    """(set_id, cell) of the blocks that neither a pair of members nor a point near Q prunes whole, and rows with those points."""
+    d = index.d
+    rows = stored(_prunable(index, rows, d), "sky-armed-sets")
+    lo, hi = at(F.col("lo"), d), at(F.col("hi"), d)
+    # A pruner inside the block would prune all but itself, so only those outside its box count.
+    outside = lambda o: any_of([(v < a) | (v > b) for v, a, b in zip(at(o["x"], d), lo, hi, strict=True)])
+    gone = F.exists("qs", lambda q: F.exists("qs", lambda o: (o["q"] != q["q"]) & box_in_pruning_region(at(q["x"], d), at(o["x"], d), lo, hi)))
+    shot = F.exists("pruners", lambda o: outside(o) & F.exists("qs", lambda q: (q["q"] != o["q"]) & box_in_pruning_region(at(q["x"], d), at(o["x"], d), lo, hi)))
+    kept = index.blocks.join(F.broadcast(rows), F.lit(include_query_objects) | ~(gone | shot)).select("set_id", "cell")
+    return stored(kept, "sky-alive-blocks"), rows
+
+
+def _candidates(index: Index, rows: DataFrame, pool: DataFrame | None, include_query_objects: bool) -> DataFrame:
+    """(set_id, qs, id, x..) that no filter removes."""
     d = index.d
     x = columns(coordinates(d))
     own = F.exists("qs", lambda q: q["q"] == F.col("id")) if pool is None else F.lit(False)
-    armed = F.broadcast(_prunable(points, rows, d))
     # The object's own id and the member under test do not prune.
     shot = F.exists("pruners", lambda o: ((o["q"] != F.col("id")) if pool is None else F.lit(True)) & F.exists("qs", lambda q: (q["q"] != o["q"]) & ((q["q"] != F.col("id")) if pool is None else F.lit(True)) & in_pruning_region(at(q["x"], d), at(o["x"], d), x)))
     dead = (~own & pair_pruned(x, d)) | shot
     if pool is None:
-        lo, hi = at(F.col("lo"), d), at(F.col("hi"), d)
-        gone = F.exists("qs", lambda q: F.exists("qs", lambda o: (o["q"] != q["q"]) & box_in_pruning_region(at(q["x"], d), at(o["x"], d), lo, hi)))
-        kept = index.blocks.join(F.broadcast(rows.select("set_id", "qs")), F.lit(include_query_objects) | ~gone).select(F.col("set_id").alias("s"), F.col("cell").alias("alive_cell"))
-        near = index.points.join(kept, F.col("cell") == F.col("alive_cell")).join(armed, F.col("s") == F.col("set_id"))
+        kept, rows = alive_blocks(index, rows, include_query_objects)
+        near = index.read(kept).join(kept, "cell").join(F.broadcast(rows), "set_id")
         near = near.where((F.lit(include_query_objects) | ~own) & ~dead)
     else:
-        near = pool.join(armed, ~dead)
+        near = pool.join(F.broadcast(stored(_prunable(index, rows, d), "sky-armed-sets")), ~dead)
     return near.select("set_id", "qs", "id", *x)
 
 
@@ -204,33 +236,32 @@ def inverse_dynamic_skyline(points: DataFrame, sets: DataFrame, strategy: str =
     if strategy == "joint":
         live = sky_validate(rows, d)
         live = (live if include_query_objects else live.where("alive")).drop("alive")
-        reached = _candidates(points, live, index, candidates, include_query_objects)
+        reached = _candidates(index, live, candidates, include_query_objects)
         return _searched(reached, points) if refine == "dsl" else _refined(reached, index, mono)
+    reverse = lambda one: _refined(_candidates(index, one, candidates, False), index, mono)
     if strategy == "naive":
-        each = _refined(_reverse_reach(points, singletons(rows), index, candidates), index, mono)
+        found = iterated(rows, reverse)
+        return without_queries(found, rows) if mono else found
+    if strategy == "naive_at_once":
+        each = reverse(singletons(rows))
         owners = F.broadcast(rows.select(F.col("set_id").alias("w"), F.col("m").alias("owner_m")))
         found = intersected(each.join(owners, F.col("set_id.owner") == F.col("w")).select(F.col("set_id.owner").alias("owner"), "owner_m", "id"))
         return without_queries(found, rows) if mono else found
     if strategy == "single":
-        one = chosen_member(rows, seed).drop("all_qs", "all_m")
-        reached = _refined(_reverse_reach(points, one, index, candidates), index, mono)
+        reached = reverse(chosen_member(rows, seed).drop("all_qs", "all_m"))
         if mono:
             reached = without_queries(reached, rows)
         back = reached.join(F.broadcast(rows), "set_id").join(pool, "id").select("set_id", "qs", "id", *coordinates(d))
-        return _searched(back, points) if mono else _refined(back, index, False)
+        return _searched(back, points) if refine == "dsl" else _refined(back, index, mono)
     raise ValueError(strategy)
 
 
-def _reverse_reach(points: DataFrame, single: DataFrame, index: Index, candidates: DataFrame | None) -> DataFrame:
-    """Candidates of single-member sets: the orthants' skylines if the objects are the points, else all objects."""
-    names = coordinates(index.d)
-    if candidates is not None:
-        return candidates.join(F.broadcast(single)).select("set_id", "qs", "id", *names)
-    return rds_candidates(points, single).join(F.broadcast(single), "set_id").join(points, "id").select("set_id", "qs", "id", *names)
-
-
-def reverse_dynamic_skyline(points: DataFrame, sets: DataFrame, index: Index | None = None) -> DataFrame:
-    """(set_id, id) for sets of one member."""
+def reverse_dynamic_skyline(points: DataFrame, sets: DataFrame, index: Index | None = None, by: str = "blocks") -> DataFrame:
+    """(set_id, id) for sets of one member. by="orthants": candidates are the orthants' skylines around the member, from all points;
+    by="blocks": those of blocks that no near point prunes."""
     index = index or build_index(points)
     rows = gathered(points, sets)
-    return _refined(_reverse_reach(points, rows, index, None), index, True)
+    if by == "blocks":
+        return _refined(_candidates(index, rows, None, False), index, True)
+    reached = rds_candidates(points, rows).join(F.broadcast(rows), "set_id").join(points, "id").select("set_id", "qs", "id", *coordinates(index.d))
+    return _refined(reached, index, True)

@@ -1,40 +1,68 @@
-"""The block index: points clustered by equi-depth cells, and a small table of each block's box and count."""
+"""The block index: points clustered by equi-depth cells, and a small table of each block's box and count.
+
+Cells are numbered in Morton order, so a prefix of a cell's number is a larger cell. Points are written sorted by cell, in
+folders by such a prefix (`zone`), so that a query reads the folders that its blocks are in."""
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
+from functools import cached_property
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from inverse_engine.functions.geometry import columns, coordinates, morton, total
+from inverse_engine.functions.geometry import at, bucket, columns, coordinates, morton
+from inverse_engine.plans.store import new_path
 from inverse_engine.sources.points import dimension
 
-#: Block tables of up to so many rows are broadcast; beyond it, their joins go by exchange.
-MOST_BROADCAST_BLOCKS = 200_000
+#: Entries of the level that is broadcast: block tables of more rows are reached through one of at most so many prefixes.
+TOP_BITS = 12
+#: Folders of points, at most; bits of a dimension's cuts, at most; points that a file holds, about.
+ZONE_BITS, MOST_BITS, FILE_POINTS = 8, 12, 4_000_000
 
 
 @dataclass
 class Index:
-    """points has a column `cell`; blocks has (cell, lo, hi, cnt)."""
+    """points has columns `cell` and `zone`; blocks has (cell, lo, hi, cnt); cells have `width` bits."""
 
     points: DataFrame
     blocks: DataFrame
     d: int
-    bits: int
+    width: int
+
+    @cached_property
+    def n_blocks(self) -> int:
+        return self.blocks.count()
+
+    @property
+    def zone_shift(self) -> int:
+        return max(0, self.width - ZONE_BITS)
 
+    def read(self, hit: DataFrame) -> DataFrame:
+        """The points of the zones that hold the blocks of `hit`, which has `cell`: 2**ZONE_BITS numbers reach the driver."""
+        zones = [r[0] for r in hit.select(F.shiftright("cell", self.zone_shift)).distinct().collect()]
+        return self.points.where(F.col("zone").isin(zones))
 
-def build_index(points: DataFrame, rows_per_block: int = 1024, most_dimensions: int = 6) -> Index:
-    """Cuts at approximate quantiles of each of the first dimensions (d * 2**bits numbers reach the driver), Morton order of the cells."""
+
+def build_index(points: DataFrame, rows_per_block: int = 1024, most_dimensions: int = 6, kept: bool = True) -> Index:
+    """Cuts at approximate quantiles of each of the first dimensions (2**bits numbers of each reach the driver), Morton order of the
+    cells. kept: points and blocks are written once, and read by every use of the index."""
     d = dimension(points)
     used = min(d, most_dimensions)
     n = points.count()
-    bits = max(1, min(8, round(max(1.0, n / rows_per_block)).bit_length() // used or 1))
+    bits = max(1, min(MOST_BITS, round(max(1.0, n / rows_per_block)).bit_length() // used or 1))
     share = [i / (1 << bits) for i in range(1, 1 << bits)]
-    cuts = points.agg(*[F.percentile_approx(f"x{i}", share, 10_000).alias(f"c{i}") for i in range(used)]).first()
-    cells = [total([(F.col(f"x{i}") > float(c)).cast("int") for c in sorted(set(cuts[f"c{i}"] or []))] or [F.lit(0)]) for i in range(used)]
+    cuts = points.agg(*[F.percentile_approx(f"x{i}", share, max(10_000, 4 << bits)).alias(f"c{i}") for i in range(used)]).first()
+    cells = [bucket(F.col(f"x{i}"), sorted({float(c) for c in cuts[f"c{i}"] or []})) for i in range(used)]
     placed = points.withColumn("cell", morton(cells, bits))
-    return Index(placed, summarise(placed, d), d, bits)
+    placed = placed.withColumn("zone", F.shiftright("cell", max(0, used * bits - ZONE_BITS)))
+    index = Index(placed, summarise(placed, d), d, used * bits)
+    if not kept:
+        return index
+    path = new_path(points.sparkSession, "index")
+    write_index(index, path, max(1, n // FILE_POINTS))
+    return read_index(points.sparkSession, path)
 
 
 def summarise(placed: DataFrame, d: int) -> DataFrame:
@@ -42,6 +70,25 @@ def summarise(placed: DataFrame, d: int) -> DataFrame:
     return placed.groupBy("cell").agg(F.array(*[F.min(n) for n in names]).alias("lo"), F.array(*[F.max(n) for n in names]).alias("hi"), F.count("*").alias("cnt"))
 
 
+def top_level(index: Index, alias: str = "up") -> tuple[DataFrame, int]:
+    """(up, lo, hi, cnt) of at most 2**TOP_BITS prefixes of cells, and how far a cell is shifted to its prefix."""
+    shift = max(0, index.width - TOP_BITS)
+    boxes = [F.array(*[f(F.get(c, F.lit(i))) for i in range(index.d)]).alias(c) for c, f in (("lo", F.min), ("hi", F.max))]
+    return index.blocks.groupBy(F.shiftright("cell", shift).alias(alias)).agg(*boxes, F.sum("cnt").alias("cnt")), shift
+
+
+def meeting(index: Index, asked: DataFrame, test: Callable[[list[Column], list[Column]], Column]) -> DataFrame:
+    """asked with cell, lo, hi, cnt of each block whose box passes the test. A test must hold for a box if it does for a part of it.
+
+    Only the level of at most 2**TOP_BITS entries is broadcast; blocks below it are reached by equality of their prefix."""
+    lo, hi = at(F.col("lo"), index.d), at(F.col("hi"), index.d)
+    if index.n_blocks <= 1 << TOP_BITS:
+        return asked.join(F.broadcast(index.blocks), test(lo, hi))
+    top, shift = top_level(index)
+    reached = asked.join(F.broadcast(top), test(lo, hi)).select(*asked.columns, "up")
+    return reached.join(index.blocks.withColumn("up", F.shiftright("cell", shift)), "up").where(test(lo, hi)).drop("up")
+
+
 def rollup_blocks(blocks: DataFrame, d: int, levels: int) -> DataFrame:
     """All levels: (level, cell, parent, lo, hi, cnt); a parent is its children's Morton prefix."""
     out = level = blocks.select(F.lit(0).alias("level"), "cell", F.shiftright("cell", d).alias("parent"), "lo", "hi", "cnt")
@@ -53,20 +100,18 @@ def rollup_blocks(blocks: DataFrame, d: int, levels: int) -> DataFrame:
 
 
 def write_index(index: Index, path: str, files: int = 64) -> None:
-    """Points as Parquet, near cells in one file, sorted inside it, so that row groups carry narrow ranges; the blocks beside them."""
+    """Points as Parquet by zone, near cells in one file, sorted inside it, so that row groups carry narrow ranges; the blocks beside them."""
     ordered = index.points.repartitionByRange(files, "cell").sortWithinPartitions("cell", "id")
-    ordered.write.parquet(f"{path}/points")
-    index.blocks.write.parquet(f"{path}/blocks")
+    ordered.write.partitionBy("zone").parquet(f"{path}/points")
+    written = index.points.sparkSession.read.parquet(f"{path}/points")
+    summarise(written, index.d).withColumn("width", F.lit(index.width)).coalesce(max(1, files // 16)).write.parquet(f"{path}/blocks")
 
 
 def read_index(spark: SparkSession, path: str) -> Index:
-    points = spark.read.parquet(f"{path}/points")
-    return Index(points, spark.read.parquet(f"{path}/blocks"), dimension(points), 0)
-
-
-def small(blocks: DataFrame) -> DataFrame:
-    """A broadcast of the blocks if their number allows it."""
-    return F.broadcast(blocks) if blocks.count() <= MOST_BROADCAST_BLOCKS else blocks
+    points = spark.read.parquet(f"{path}/points").withColumn("zone", F.col("zone").cast("long"))
+    blocks = spark.read.parquet(f"{path}/blocks")
+    width = blocks.select("width").first()
+    return Index(points, blocks.drop("width"), dimension(points), width[0] if width else 1)
 
 
 def page_model(rows: DataFrame, d: int, page_bytes: int = 1024) -> DataFrame:
@@ -74,4 +119,4 @@ def page_model(rows: DataFrame, d: int, page_bytes: int = 1024) -> DataFrame:
     return rows.withColumn("pages", F.ceil(F.col("cnt") * (8 * d + 8) / page_bytes).cast("long"))
 
 
-__all__ = ["Index", "build_index", "columns", "page_model", "read_index", "rollup_blocks", "small", "summarise", "write_index"]
+__all__ = ["Index", "build_index", "columns", "meeting", "page_model", "read_index", "rollup_blocks", "summarise", "top_level", "write_index"]

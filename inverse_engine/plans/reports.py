@@ -9,6 +9,7 @@ from inverse_engine.operators import eps_range, knn, skyline
 from inverse_engine.operators.common import gathered
 from inverse_engine.operators.framework import EpsRange, Nearest, inverse
 from inverse_engine.plans.blocks import build_index
+from inverse_engine.plans.store import stored
 
 
 def explain_filters(points: DataFrame, sets: DataFrame, predicate, rows_per_block: int = 256) -> DataFrame:
@@ -23,13 +24,14 @@ def explain_filters(points: DataFrame, sets: DataFrame, predicate, rows_per_bloc
         stages += [("live sets", live), ("blocks", hit), ("blocks accepted unread", hit.where("inner")), ("candidates", index.points.join(hit.select("set_id", "cell"), "cell"))]
     elif isinstance(predicate, Nearest):
         live = knn.knn_validate(rows.withColumn("k", F.lit(int(predicate.k)))).where("alive")
-        alive = knn.prune_counters(index, live).where(F.col("counter") < F.col("k"))
-        stages += [("live sets", live), ("blocks", alive), ("candidates", index.points.join(alive.select("set_id", "cell"), "cell"))]
+        alive, left = knn.alive_blocks(index, live, hull=True)
+        alive = stored(alive, "report-blocks")
+        stages += [("live sets", left), ("blocks", alive), ("points of blocks", index.points.join(alive.select("set_id", "cell"), "cell")), ("candidates", knn._candidates(index, live, None, True, False))]
         if d <= 3:
             stages.append(("hull members", knn.hull_members(points, live, d)))
     else:
         live = skyline.sky_validate(rows, d).where("alive").drop("alive")
-        stages += [("live sets", live), ("not pruned by pairs", skyline.sky_query_prune(points, live, d)), ("candidates", skyline._candidates(points, live, index, None, False))]
+        stages += [("live sets", live), ("not pruned by pairs", skyline.sky_query_prune(points, live, d)), ("candidates", skyline._candidates(index, live, None, False))]
     stages.append(("results", inverse(points, sets, predicate, index=index)))
     out = None
     for step, (stage, frame) in enumerate(stages):

@@ -13,6 +13,7 @@ from inverse_engine import reference_sql as R
 from inverse_engine.functions.geometry import columns, coordinates, dist2, max_dist2_of_set, orthant
 from inverse_engine.operators import eps_range, framework, knn, skyline
 from inverse_engine.operators.common import gathered
+from inverse_engine.plans import accesses
 from inverse_engine.plans.blocks import build_index, page_model, rollup_blocks
 from inverse_engine.sources import query_sets
 from inverse_engine.sources.points import fixture, lattice, make_points, read_table
@@ -445,7 +446,7 @@ def _blocks_read(spark: SparkSession, sf_dir: str) -> DataFrame:
     index = build_index(points, 64)
     out = None
     for strategy in ("joint", "single", "naive"):
-        got = framework.blocks_read(index, _sets(points, 5, 5, EXTENT), E_(EPS), strategy).agg(F.lit(strategy).alias("method"), F.avg("requested").alias("requested"), F.avg("read").alias("read"), F.avg("pages").alias("pages"))
+        got = accesses.blocks_read(index, _sets(points, 5, 5, EXTENT), E_(EPS), strategy).agg(F.lit(strategy).alias("method"), F.avg("requested").alias("requested"), F.avg("read").alias("read"), F.avg("pages").alias("pages"))
         out = got if out is None else out.unionByName(got)
     return out
 

@@ -46,10 +46,11 @@ def neighbour_query_sets(points: DataFrame, n_sets: int, m: int, seed: int = 0)
 
 
 def attach_coordinates(points: DataFrame, sets: DataFrame) -> DataFrame:
-    """(set_id, m, qs array<struct<q, x array<double>>>, further columns of `sets` by their least value). Unknown ids raise."""
+    """(set_id, m, qs array<struct<q, x array<double>>>, further columns of `sets` by their least value). Members that are no points
+    are left out here; operators.common.gathered raises for them. The sets are broadcast: gathered checks their size."""
     d = dimension(points)
     extra = [c for c in sets.columns if c not in ("set_id", "q_id")]
-    found = F.broadcast(sets).join(points, F.col("q_id") == F.col("id"), "right").where(F.col("set_id").isNotNull())
+    found = points.join(F.broadcast(sets), F.col("q_id") == F.col("id")).where(F.col("set_id").isNotNull())
     member = F.struct(F.col("q_id").alias("q"), F.array(*columns(coordinates(d))).alias("x"))
     return found.groupBy("set_id").agg(F.array_sort(F.collect_set(member)).alias("qs"), *[F.min(c).alias(c) for c in extra]).withColumn("m", F.size("qs"))
 
