@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from itertools import combinations
 
 import numpy as np
@@ -12,18 +13,24 @@ from pyspark.sql.window import Window
 
 from inverse_engine.functions.geometry import all_of, any_of, at, box_dominates, box_gap2, box_max_dist2, box_min_dist2, columns, coordinates, dist2, furthest, max_dist2_of_set, precedes, total
 from inverse_engine.operators.common import chosen_member, gathered, intersected, iterated, singletons, without_queries
-from inverse_engine.plans.blocks import Index, build_index, meeting, top_level
+from inverse_engine.plans.blocks import TOP_BITS, Index, build_index, meeting, top_level
 from inverse_engine.plans.store import stored
 from inverse_engine.sources.points import dimension
 
-#: Points of the blocks that prune blocks, as a multiple of k; points that prune candidates, as a multiple of k, and over all sets at most.
-PRUNERS, POINT_PRUNERS, MOST_POINT_PRUNERS = 2, 4, 1_000_000
+#: Points of the blocks near Q that are read for pruners, as a multiple of k; points that prune, as a multiple of k, and over all sets
+#: at most (they are broadcast).
+PRUNERS, POINT_PRUNERS, MOST_POINT_PRUNERS = 2, 4, 400_000
 #: Simplices of a hull at most, dimensions up to which hulls are used, tolerance inside them.
 SIMPLICES, HULL_DIMENSIONS, INSIDE = 210, 5, 1e-9
 #: Side of the cells that candidates are refined together in, as a share of the unit.
 BATCH_SIDE = 1 / 16
 
 
+def _bound(value: Column, use: Callable[[Column], Column]) -> Column:
+    """use(value), with the value worked out once: in a lambda of a list, a plain column would be worked out for every element."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
 def knn_reads(index: Index, probes: DataFrame, k: int) -> DataFrame:
     """(probe, cell, p_x..): the blocks that hold each probe's k-set, found from the larger cells down.
 
@@ -170,37 +177,21 @@ def hull_bound(k: Column | int, h: Column | int, m: Column | int, inside: bool)
 
 
 def _nearest_blocks(index: Index, rows: DataFrame) -> DataFrame:
-    """(set_id, p_cell, p_lo, p_hi, p_cnt): blocks by their largest distance to Q, up to PRUNERS * k + m points of each set."""
+    """(set_id, p_cell, p_lo, p_hi, p_cnt): blocks by their largest distance to Q, up to PRUNERS * POINT_PRUNERS * k + m points of each set."""
     d = index.d
     lo, hi = at(F.col("lo"), d), at(F.col("hi"), d)
     far = F.array_max(F.transform("qs", lambda q: box_max_dist2(lo, hi, at(q["x"], d))))
     order = F.sum("cnt").over(Window.partitionBy("set_id").orderBy("far", "cell"))
     # Only blocks that begin within the largest distance of the nearest ones can be among them.
     top, _ = top_level(index, "cell")
-    some = top.join(F.broadcast(rows)).withColumn("far", far).withColumn("upto", order).where(F.col("upto") - F.col("cnt") <= PRUNERS * F.col("k") + F.col("m"))
+    some = top.join(F.broadcast(rows)).withColumn("far", far).withColumn("upto", order).where(F.col("upto") - F.col("cnt") <= PRUNERS * POINT_PRUNERS * F.col("k") + F.col("m"))
     reach = some.groupBy("set_id").agg(F.max("far").alias("reach"))
     asked = rows.select("set_id", "k", "m", "qs").join(F.broadcast(reach), "set_id")
     near = meeting(index, asked, lambda a, b: F.array_max(F.transform("qs", lambda q: box_min_dist2(a, b, at(q["x"], d)))) <= F.col("reach"))
-    ranked = near.withColumn("far", far).withColumn("upto", order).where(F.col("upto") - F.col("cnt") <= PRUNERS * F.col("k") + F.col("m"))
+    ranked = near.withColumn("far", far).withColumn("upto", order).where(F.col("upto") - F.col("cnt") <= PRUNERS * POINT_PRUNERS * F.col("k") + F.col("m"))
     return ranked.select("set_id", F.col("cell").alias("p_cell"), F.col("lo").alias("p_lo"), F.col("hi").alias("p_hi"), F.col("cnt").alias("p_cnt"))
 
 
-def prune_counters(index: Index, rows: DataFrame) -> DataFrame:
-    """(set_id, k, m, cell, cnt, counter, beyond, apart): lower bounds of the points that are nearer than Q's furthest member to every
-    point of the block, all of them (counter) and those of blocks apart from the members' box (beyond); whether the block itself is
-    apart from that box. Only blocks near Q prune."""
-    d = index.d
-    lo, hi = at(F.col("lo"), d), at(F.col("hi"), d)
-    packed = _nearest_blocks(index, rows).groupBy("set_id").agg(F.collect_list(F.struct("p_cell", "p_lo", "p_hi", "p_cnt")).alias("pruners"))
-    both = members_box(rows.select("set_id", "k", "m", "qs"), d).join(packed, "set_id", "left")
-    sure = lambda p: F.exists("qs", lambda q: box_dominates(lo, hi, at(p["p_lo"], d), at(p["p_hi"], d), at(q["x"], d)))
-    kind = "array<struct<p_cell:bigint,p_lo:array<double>,p_hi:array<double>,p_cnt:bigint>>"
-    won = F.filter(F.coalesce("pruners", F.array().cast(kind)), lambda p: (p["p_cell"] != F.col("cell")) & sure(p))
-    count = lambda of: F.aggregate(of, F.lit(0).cast("long"), lambda n, p: n + p["p_cnt"])
-    counted = index.blocks.join(F.broadcast(both)).withColumn("won", won)
-    return counted.select("set_id", "k", "m", "cell", "cnt", count(F.col("won")).alias("counter"), count(F.filter("won", lambda p: _apart(at(p["p_lo"], d), at(p["p_hi"], d), d))).alias("beyond"), _apart(lo, hi, d).alias("apart"))
-
-
 def point_pruners(index: Index, rows: DataFrame) -> DataFrame:
     """(set_id, near): the points nearest to all of Q, by their largest distance, POINT_PRUNERS * k of them, or as many as
     MOST_POINT_PRUNERS leaves to each set."""
@@ -219,13 +210,12 @@ def _few_ahead(near: DataFrame, d: int, mono: bool, hull: bool) -> DataFrame:
     """Candidates (with qs, near, and for the hull q_lo, q_hi, h) that the points near Q do not rule out."""
     x = columns(coordinates(d))
     ref = furthest(x, F.filter("qs", lambda q: q["q"] != F.col("id")) if mono else F.col("qs"), d)
-    near = near.withColumn("ref", ref)
-    ahead = F.filter("near", lambda p: ((p["id"] != F.col("id")) if mono else F.lit(True)) & precedes(dist2(x, at(p["x"], d)), p["id"], F.col("ref.d2"), F.col("ref.q")))
-    near = near.withColumn("ahead", F.transform(ahead, lambda p: p["x"])).where(F.size("ahead") < F.col("k"))
-    if hull:
-        beyond = F.size(F.filter("ahead", lambda p: _apart(at(p, d), at(p, d), d)))
-        near = near.where(beyond <= hull_bound(F.col("k"), F.col("h"), F.col("m"), True) - _apart(x, x, d).cast("int"))
-    return near.drop("ref", "ahead")
+    ahead = lambda r: F.filter("near", lambda p: ((p["id"] != F.col("id")) if mono else F.lit(True)) & precedes(dist2(x, at(p["x"], d)), p["id"], r["d2"], r["q"]))
+    if not hull:
+        return near.where(_bound(ref, lambda r: F.size(ahead(r))) < F.col("k"))
+    beyond = lambda won: F.size(F.filter(won, lambda p: _apart(at(p["x"], d), at(p["x"], d), d)))
+    most = hull_bound(F.col("k"), F.col("h"), F.col("m"), True) - _apart(x, x, d).cast("int")
+    return near.where(_bound(ref, lambda r: _bound(ahead(r), lambda won: (F.size(won) < F.col("k")) & (beyond(won) <= most))))
 
 
 def _refinement_reads(reached: DataFrame, index: Index, include_query_objects: bool, mono: bool) -> tuple[DataFrame, DataFrame]:
@@ -269,37 +259,67 @@ def _accepted(reached: DataFrame, index: Index, include_query_objects: bool, mon
     return done.select("set_id", F.col("c").alias("id"))
 
 
+def prune_counters(entries: DataFrame, armed: DataFrame, d: int) -> DataFrame:
+    """(set_id, cell, counter, beyond, apart) for entries (cell, lo, hi, and set_id or not): how many of the points near Q are nearer
+    than Q's furthest member to every place of the entry's box, all of them (counter) and those apart from the members' box
+    (beyond); whether the entry itself is apart from that box. Both are lower bounds of what an object in the entry has ahead."""
+    lo, hi = at(F.col("lo"), d), at(F.col("hi"), d)
+    centre = [(a + b) / 2 for a, b in zip(lo, hi, strict=True)]
+    # Any member will do; the one that is furthest from the box's middle prunes most.
+    far = F.array_max(F.transform("qs", lambda q: F.struct(dist2(centre, at(q["x"], d)).alias("d2"), q["x"].alias("x"))))
+    beyond_box = lambda p: any_of([(v < a) | (v > b) for v, a, b in zip(at(p["x"], d), lo, hi, strict=True)])
+    won = lambda q: F.filter("near", lambda p: beyond_box(p) & box_dominates(lo, hi, at(p["x"], d), at(p["x"], d), at(q["x"], d)))
+    both = lambda w: F.struct(F.size(w).alias("counter"), F.size(F.filter(w, lambda p: _apart(at(p["x"], d), at(p["x"], d), d))).alias("beyond"))
+    paired = entries.join(F.broadcast(armed), "set_id") if "set_id" in entries.columns else entries.join(F.broadcast(armed))
+    counts = _bound(far, lambda q: _bound(won(q), both))
+    return paired.select("set_id", "k", "m", "h", "cell", counts.alias("counts"), _apart(lo, hi, d).alias("apart")).select("set_id", "k", "m", "h", "cell", "counts.counter", "counts.beyond", "apart")
+
+
 def alive_blocks(index: Index, rows: DataFrame, hull: bool, include_query_objects: bool = False) -> tuple[DataFrame, DataFrame]:
-    """(set_id, cell) of the blocks that no counter removes, and the rows of sets that may have results, with h where hulls are used.
+    """(set_id, cell) of the blocks that no counter removes, and the rows of sets that may have results, with `near` (the points that
+    prune), the members' box, and h (null where the hull's bounds are not used: where members may be results, or in many dimensions).
 
-    Exactness is left to refinement: every filter here is sound. Where members may be results, the hull's bounds are not used."""
+    From the top level down: blocks of larger cells that are pruned are not looked at. Exactness is left to refinement."""
     use = hull and index.d <= HULL_DIMENSIONS and not include_query_objects
+    rows = members_box(rows, index.d)
     if use:
         # Outside the hull at most k - h - m others may be nearer, inside one more: below zero nobody is left.
-        rows = members_box(rows, index.d).join(F.broadcast(hull_counts(index, rows)), "set_id", "left").withColumn("h", F.coalesce("h", F.lit(0)))
-        rows = stored(rows.where(hull_bound(F.col("k"), F.col("h"), F.col("m"), True) >= 0), "knn-live-sets")
-    counters = prune_counters(index, rows).where(F.col("counter") < F.col("k"))
-    if use:
-        counters = counters.join(F.broadcast(rows.select("set_id", "h")), "set_id").where(F.col("beyond") <= hull_bound(F.col("k"), F.col("h"), F.col("m"), True) - F.col("apart").cast("int"))
-    return counters.select("set_id", "cell"), rows
+        rows = rows.join(F.broadcast(hull_counts(index, rows)), "set_id", "left").withColumn("h", F.coalesce("h", F.lit(0)))
+        rows = rows.where(hull_bound(F.col("k"), F.col("h"), F.col("m"), True) >= 0)
+    else:
+        rows = rows.withColumn("h", F.lit(None).cast("long"))
+    rows = stored(rows, "knn-live-sets")
+    armed = rows.join(F.broadcast(point_pruners(index, rows)), "set_id", "left")
+    armed = stored(armed.withColumn("near", F.coalesce("near", F.array().cast("array<struct<id:bigint,x:array<double>>>"))), "knn-armed-sets")
+
+    def left(entries: DataFrame) -> DataFrame:
+        counted = prune_counters(entries, armed, index.d).where(F.col("counter") < F.col("k"))
+        if use:
+            counted = counted.where(F.col("beyond") <= hull_bound(F.col("k"), F.col("h"), F.col("m"), True) - F.col("apart").cast("int"))
+        return counted.select("set_id", "cell")
+
+    if index.n_blocks <= 1 << TOP_BITS:
+        return stored(left(index.blocks), "knn-alive-blocks"), armed
+    top, shift = top_level(index, "cell")
+    above = stored(left(top), "knn-alive-cells").withColumnRenamed("cell", "up")
+    below = index.blocks.withColumn("up", F.shiftright("cell", shift)).join(above, "up").drop("up")
+    return stored(left(below), "knn-alive-blocks"), armed
 
 
 def _candidates(index: Index, rows: DataFrame, pool: DataFrame | None, hull: bool, include_query_objects: bool, prune_blocks: bool = True, prune_points: bool = True) -> DataFrame:
     """(set_id, k, m, qs, id, x..) that no filter removes."""
     d = index.d
     names = coordinates(d)
+    use = pool is None and hull and d <= HULL_DIMENSIONS and not include_query_objects
+    alive, armed = alive_blocks(index, rows, use, include_query_objects)
     if pool is not None:
-        near = pool.join(F.broadcast(rows))
-        use = False
+        near = pool.join(F.broadcast(armed))
     elif prune_blocks:
-        alive, rows = alive_blocks(index, rows, hull, include_query_objects)
-        alive = stored(alive, "knn-alive-blocks")
-        near = index.read(alive).join(alive, "cell").join(F.broadcast(rows), "set_id")
-        use = "h" in rows.columns
+        near = index.read(alive).join(alive, "cell").join(F.broadcast(armed), "set_id")
     else:
-        near, use = index.points.join(F.broadcast(rows)), False
+        near = index.points.join(F.broadcast(armed))
     if prune_points:
-        near = _few_ahead(near.join(F.broadcast(point_pruners(index, rows)), "set_id", "left").withColumn("near", F.coalesce("near", F.array().cast("array<struct<id:bigint,x:array<double>>>"))), d, pool is None, use)
+        near = _few_ahead(near, d, pool is None, use)
     return near.select("set_id", "k", "m", "qs", "id", *names)
 
 

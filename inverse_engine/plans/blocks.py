@@ -8,6 +8,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass
 from functools import cached_property
+from math import log2
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -51,7 +52,7 @@ def build_index(points: DataFrame, rows_per_block: int = 1024, most_dimensions:
     d = dimension(points)
     used = min(d, most_dimensions)
     n = points.count()
-    bits = max(1, min(MOST_BITS, round(max(1.0, n / rows_per_block)).bit_length() // used or 1))
+    bits = max(1, min(MOST_BITS, round(log2(max(1.0, n / rows_per_block)) / used)))
     share = [i / (1 << bits) for i in range(1, 1 << bits)]
     cuts = points.agg(*[F.percentile_approx(f"x{i}", share, max(10_000, 4 << bits)).alias(f"c{i}") for i in range(used)]).first()
     cells = [bucket(F.col(f"x{i}"), sorted({float(c) for c in cuts[f"c{i}"] or []})) for i in range(used)]

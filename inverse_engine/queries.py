@@ -158,7 +158,8 @@ method("knn_duplicates_part", "part2", N_(8), 6, 3, None, R.knn_sql(2, 8))
 method("knn_incl_q", "part2", N_(50), 4, 4, WIDE, R.knn_sql(2, 50, keep_queries=True), include_query_objects=True)
 method("knn_bichromatic", "part2", N_(50), 4, 4, WIDE, R.knn_sql(2, 50, mono=False), candidates="customer2")
 method("knn_region_lattice", "part2", N_(50), 3, 4, WIDE, R.knn_sql(2, 50, mono=False), candidates="lattice-32")
-method("knn_lineitem", "line3", N_(K), 5, 5, EXTENT, "", oracle=False)
+method("knn_lineitem", "line3", N_(K), 5, 5, EXTENT, R.knn_bounded_sql(3, K, 400), indexed=True)
+method("knn_lineitem_m10", "line3", N_(K), 3, M, EXTENT, R.knn_bounded_sql(3, K, 400), indexed=True)
 sweep("knn_sweep_k", K_SWEEP, lambda v: ("part2", N_(v), 3, 4, WIDE, R.knn_sql(2, v)))
 sweep("knn_sweep_m", (1, 3, 5, 10), lambda v: ("part2", N_(50), 3, v, WIDE, R.knn_sql(2, 50)))
 sweep("knn_sweep_d", (2, 3, 4, 5), lambda v: (f"emb{v}", N_(50), 3, 3, None, R.knn_sql(v, 50)))
@@ -315,7 +316,7 @@ def _pairs(stairs: bool) -> Query:
 _p2w = R.with_sql("part2", R.sets_sql(2, 4, 4, 0.02), 2)
 _survive = _p2w + f"SELECT s.set_id, p.id FROM pts p CROSS JOIN ids s WHERE NOT EXISTS (SELECT 1 FROM q z WHERE z.set_id = s.set_id AND z.q = p.id) EXCEPT SELECT q.set_id, p.id FROM pts p CROSS JOIN q JOIN q o ON o.set_id = q.set_id AND o.q <> q.q AND {R.dominates_sql('o', 'q', 'p', 2)}"
 case("sky_pair_prune_survivors", _pairs(False), _survive)
-case("sky_staircase_2d", _pairs(True), None)
+case("sky_staircase_2d", _pairs(True), _survive)
 
 # Extensions.
 
@@ -441,17 +442,40 @@ _counts = [R.eps_sql(2, 0.1), R.knn_sql(2, 50), R.sky_sql(2)]
 case("method_agreement", _agreement, " UNION ALL ".join(f"(SELECT {i} AS predicate, '{s}' AS strategy, CAST(0 AS BIGINT) AS only_one, CAST(0 AS BIGINT) AS only_other, count(*) AS both FROM ({_part2}{sql}))" for i, sql in enumerate(_counts) for s in ("naive", "single")))
 
 
-def _blocks_read(spark: SparkSession, sf_dir: str) -> DataFrame:
-    points = fixture(spark, sf_dir, "line3")
-    index = build_index(points, 64)
-    out = None
-    for strategy in ("joint", "single", "naive"):
-        got = accesses.blocks_read(index, _sets(points, 5, 5, EXTENT), E_(EPS), strategy).agg(F.lit(strategy).alias("method"), F.avg("requested").alias("requested"), F.avg("read").alias("read"), F.avg("pages").alias("pages"))
-        out = got if out is None else out.unionByName(got)
-    return out
+def _accesses(table: str, predicate, n: int, m: int, extent: float | None, rows_per_block: int, ratio: bool = False) -> Query:
+    """Page accesses of the three methods, averaged over sets."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        points = fixture(spark, sf_dir, table)
+        got = accesses.averages(build_index(points, rows_per_block), _sets(points, n, m, extent), predicate, 1000)
+        return accesses.ratios(got) if ratio else got
+
+    return run
+
+
+case("blocks_read_by_method", _accesses("line3", E_(EPS), 5, 5, EXTENT, 64), None)
+case("blocks_read_knn", _accesses("part2", N_(50), 3, 4, WIDE, 32), None)
+case("blocks_read_sky", _accesses("customer3", S_, 3, 2, None, 32), None)
+case("blocks_read_ratios_eps", _accesses("line3", E_(0.1), 5, 5, EXTENT, 64, ratio=True), None)
+
+
+def _accesses_by(name: str, values, table: str, n: int, make: Callable[[object], tuple[int, float]], column: str, predicate) -> None:
+    """A series of page accesses in one batch: value number v has the sets v * 1000 + i, with their own parameter."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        points = fixture(spark, sf_dir, table)
+        sets = None
+        for v, value in enumerate(values):
+            m, extent, parameter = make(value)
+            own = _sets(points, n, m, extent).select((F.col("set_id") + v * 1000).alias("set_id"), "q_id", F.lit(parameter).alias(column))
+            sets = own if sets is None else sets.unionByName(own)
+        return accesses.averages(build_index(points, 64), sets, predicate, 1000)
+
+    case(name, run, None)
 
 
-case("blocks_read_by_method", _blocks_read, None)
+_accesses_by("pages_eps_by_eps", EPS_SWEEP, "line3", 4, lambda v: (M, EXTENT, v), "eps", E_())
+_accesses_by("pages_eps_by_m", (1, 5, 10, 20, 35), "line3", 4, lambda v: (v, EXTENT, EPS), "eps", E_())
 
 
 def _index_counts(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -93,3 +93,14 @@ def sky_sql(d: int, mono: bool = True) -> str:
     cand = "SELECT s.set_id, p.* FROM pool p CROSS JOIN ids s" + (" WHERE NOT EXISTS (SELECT 1 FROM q z WHERE z.set_id = s.set_id AND z.q = p.id)" if mono else "")
     away = "o.id <> c.id AND " if mono else ""
     return f"SELECT set_id, id FROM ({cand}) EXCEPT SELECT DISTINCT c.set_id, c.id FROM ({cand}) c JOIN q ON q.set_id = c.set_id JOIN pts o ON {away}o.id <> q.q AND {dominates_sql('o', 'q', 'c', d)}"
+
+
+def knn_bounded_sql(d: int, k: int, near: int) -> str:
+    """knn_sql for larger tables: an object with k of the `near` points that lie nearest to one member ahead of its furthest member is
+    no result, whatever the other points are; only the objects that are left are compared with all points."""
+    names = ", ".join(f"c.x{i}" for i in range(d))
+    ref = f"SELECT c.set_id, c.m, c.id, {names}, max({{'d': {d2_sql('c', 'q', d)}, 'q': q.q}}) AS r FROM (SELECT s.set_id, s.m, p.* FROM pool p CROSS JOIN ids s WHERE NOT EXISTS (SELECT 1 FROM q z WHERE z.set_id = s.set_id AND z.q = p.id)) c JOIN q ON q.set_id = c.set_id GROUP BY c.set_id, c.m, c.id, {names}"
+    ahead = lambda o: f"o.id <> c.id AND ({d2_sql(o, 'c', d)} < c.r.d OR ({d2_sql(o, 'c', d)} = c.r.d AND o.id < c.r.q))"
+    some = f"SELECT set_id, id, {', '.join(f'x{i}' for i in range(d))} FROM (SELECT a.set_id, p.*, row_number() OVER (PARTITION BY a.set_id ORDER BY {d2_sql('p', 'a', d)}, p.id) AS r FROM pts p CROSS JOIN (SELECT * FROM q QUALIFY row_number() OVER (PARTITION BY set_id ORDER BY q) = 1) a) WHERE r <= {near}"
+    left = f"SELECT c.set_id, c.m, c.id, {names}, any_value(c.r) AS r FROM ({ref}) c LEFT JOIN ({some}) o ON o.set_id = c.set_id AND {ahead('o')} WHERE c.m <= {k} GROUP BY c.set_id, c.m, c.id, {names} HAVING count(o.id) <= {k} - 1"
+    return f"SELECT c.set_id, c.id FROM ({left}) c LEFT JOIN pts o ON {ahead('o')} GROUP BY c.set_id, c.id HAVING count(o.id) <= {k} - 1"
