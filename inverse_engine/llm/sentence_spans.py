@@ -28,7 +28,7 @@ from pyspark.sql.functions import pandas_udf
 
 from inverse_engine.llm.common import materialise, ship
 
-LEAST_SENTENCES, LEAST_WORDS = 2, 40
+LEAST_SENTENCES, LEAST_WORDS = 2, 20
 #: Words of a common stretch that may not pass unseen ("over 50"), and of the runs that such stretches choose.
 LONG, GRAM = 51, 40
 LAST = (1 << 63) - 1

@@ -227,7 +227,7 @@ def test_span_runs_reach_a_passage_end():
 
 def test_span_dedup_by_windows_of_words(spark, docs):
     """Apart from the operator's own parts: over the whole table, no stretch of 51 words is left in two places, and only words in a
-    stretch of 40 that came before are gone."""
+    stretch of 20 that came before are gone."""
     rows = sorted((d, t or "") for d, t in docs.select("doc_id", "text").collect())
     done = {r["doc_id"]: r for r in sentence_spans.dedup_spans(docs).collect()}
 
@@ -240,9 +240,9 @@ def test_span_dedup_by_windows_of_words(spark, docs):
     for d, t in rows:
         words = t.split()
         late = np.zeros(len(words) + 1, dtype=bool)
-        for i, h in enumerate(windows(words, 40)):
+        for i, h in enumerate(windows(words, 20)):
             if h in seen:
-                late[i : i + 40] = True
+                late[i : i + 20] = True
             seen.add(h)
         assert done[d]["removed_words"] == len(words) - len(done[d]["text"].split()) <= late.sum()
         touched += done[d]["removed_words"] > 0
