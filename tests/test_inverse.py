@@ -103,6 +103,16 @@ def test_staircase_prunes_what_pairs_prune(spark):
     assert stairs == pairs
 
 
+def test_staircase_decides_midlines_by_distances(spark):
+    points = {i: (x / 49.0, y / 49.0) for i, (x, y) in grid(11, 400, 2, 50).items()}
+    df = frame(spark, points)
+    sets = spark.createDataFrame([(s, q) for s, qs in draw(5, 400, [3, 4, 5, 6]).items() for q in qs], "set_id long, q_id long")
+    rows = gathered(df, sets)
+    own = F.exists("qs", lambda q: q["q"] == F.col("id"))
+    stairs = results(df.join(rows.join(skyline.staircases(rows), "set_id"), ~own & ~skyline.staircase_pruned([F.col("x0"), F.col("x1")])).select("set_id", "id"))
+    assert stairs == results(skyline.sky_query_prune(df, rows, 2))
+
+
 def test_surrounded_member_gives_nothing(spark):
     points = {0: (0.0, 0.0), 1: (1.0, 1.0), 2: (-1.0, 1.0), 3: (1.0, -1.0), 4: (-1.0, -1.0), 5: (3.0, 0.5)}
     df, sets = frame(spark, points), spark.createDataFrame([(0, q) for q in range(5)], "set_id long, q_id long")
