@@ -232,3 +232,22 @@ def test_unusable_coordinates(spark):
         make_points(rows, F.col("k"), [F.col("a"), F.col("b")], invalid="raise")
     with pytest.raises(ValueError):
         make_points(rows.union(rows), F.col("k"), [F.col("b")], check_unique=True)
+
+
+def test_skylines_among_many_copies(spark, monkeypatch):
+    places = grid(4, 30, 2, 6)
+    points = {i * 7 + j: p for i, p in places.items() for j in range(7 if i % 2 else 1)}
+    queries = {0: [7], 1: [0, 14], 2: [21, 22], 3: [28, 35]}
+    df, sets = frame(spark, points), spark.createDataFrame([(s, q) for s, qs in queries.items() for q in qs], "set_id long, q_id long")
+    index = build_index(df, 8)
+    want = {s: w for s, q in queries.items() if (w := brute.skyline_results(points, q))}
+    # Copies of a member take no place among the points that prune.
+    armed = skyline._prunable(index, gathered(df, sets), 2)
+    for r in armed.collect():
+        assert len(r["pruners"]) == len({tuple(p["x"]) for p in r["pruners"]})
+        assert len(r["qs"]) > 1 or all(p["x"] != r["qs"][0]["x"] for p in r["pruners"])
+    monkeypatch.setattr(skyline, "MOST_PROBES", 1)  # not a limit of refinement
+    assert results(skyline.inverse_dynamic_skyline(df, sets, refine="dsl", index=index)) == want
+    for strategy in ("joint", "brute", "naive", "single"):
+        assert results(skyline.inverse_dynamic_skyline(df, sets, strategy, index=index)) == want
+    assert results(skyline.inverse_dynamic_skyline(df, sets, "single", index=index, refine="dsl")) == want
