@@ -62,3 +62,23 @@ def test_rare_labels_are_not_thinned(spark):
     for y in (np.array([1.0] * 40 + [0.0]), np.array([0.0, 1, 1, 1, 1])):
         order, held = quality_net.fifths_by_class(y)
         assert sorted(order) == list(range(len(y))) and set(y[order][: len(y) - held]) == {0.0, 1.0}
+
+
+def test_shuffle_files_of_written_steps_go(spark):
+    import os
+    import time
+
+    from inverse_engine.llm.common import materialise, release
+
+    def held():
+        manager = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+        return {n for d in manager.localDirsString() for _, _, names in os.walk(d) for n in names if n.startswith("shuffle_")}
+
+    before = held()
+    materialise(spark.range(20000).repartition(7).groupBy("id").count(), "released")
+    release(spark)
+    for _ in range(50):
+        if not held() - before:
+            break
+        time.sleep(0.2)
+    assert not held() - before
