@@ -251,3 +251,14 @@ def test_skylines_among_many_copies(spark, monkeypatch):
     for strategy in ("joint", "brute", "naive", "single"):
         assert results(skyline.inverse_dynamic_skyline(df, sets, strategy, index=index)) == want
     assert results(skyline.inverse_dynamic_skyline(df, sets, "single", index=index, refine="dsl")) == want
+
+
+def test_first_points_rule_out_only_what_is_no_result(spark, monkeypatch):
+    monkeypatch.setattr(knn, "FIRST_POINTS", 12)
+    points = grid(8, 90, 2, 7)
+    queries = draw(3, 90, [1, 2, 3])
+    df, sets = frame(spark, points), spark.createDataFrame([(s, q) for s, qs in queries.items() for q in qs], "set_id long, q_id long")
+    kept, given = [], knn._not_ruled_out
+    monkeypatch.setattr(knn, "_not_ruled_out", lambda *a: kept.append(given(*a)) or kept[-1])
+    assert results(inverse(df, sets, Nearest(8), "brute")) == {s: w for s, q in queries.items() if (w := brute.knn_results(points, q, 8))}
+    assert kept[0].count() < 3 * 90 - 6
