@@ -1,7 +1,9 @@
 """Steps that make the queries fit larger tables give what the plain definitions give."""
 
+import numpy as np
 import pytest
 
+from inverse_engine.functions.geometry import coordinates
 from inverse_engine.operators import knn
 from inverse_engine.operators.common import gathered
 from inverse_engine.plans.blocks import build_index
@@ -23,3 +25,24 @@ def test_hull_counts_of_ten_members_in_three_dimensions(spark, cloud):
     assert got == held and sum(got.values()) > 0
     # The folders of a small index are few: opening their files took longer than all else.
     assert index.points.select("zone").distinct().count() <= 1
+
+
+def test_reduced_k_of_each_member_among_the_points_without_the_others(spark, cloud):
+    points = cloud.where("id < 900")
+    sets = sample_query_sets(points, 3, 4, 0.05)
+    got = {(r["set_id"], r["id"]) for r in knn.reduced_k_candidates(points, sets, 200, build_index(points, 32)).collect()}
+    frame = points.toPandas()
+    ids, x = frame["id"].to_numpy(), frame[coordinates(3)].to_numpy()
+    members = {}
+    for r in sets.collect():
+        members.setdefault(r["set_id"], []).append(r["q_id"])
+    wanted = set()
+    for set_id, qs in members.items():
+        free = ~np.isin(ids, qs)
+        for c in np.flatnonzero(free):
+            d2 = sum((x[:, i] - x[c, i]) ** 2 for i in range(3))
+            places = {q: d2[ids == q][0] for q in qs}
+            ahead = [sum(free & (ids != ids[c]) & ((d2 < z) | ((d2 == z) & (ids < q)))) for q, z in places.items()]
+            if max(ahead) < 200 - len(qs) + 1:
+                wanted.add((set_id, ids[c]))
+    assert got == wanted and wanted
