@@ -2,10 +2,13 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from inverse_engine.functions.geometry import coordinates
 from inverse_engine.operators import knn
 from inverse_engine.operators.common import gathered
+from inverse_engine.operators.framework import EpsRange
+from inverse_engine.plans.accesses import requests
 from inverse_engine.plans.blocks import build_index
 from inverse_engine.plans.store import stored
 from inverse_engine.sources.points import synthetic
@@ -46,3 +49,40 @@ def test_reduced_k_of_each_member_among_the_points_without_the_others(spark, clo
             if max(ahead) < 200 - len(qs) + 1:
                 wanted.add((set_id, ids[c]))
     assert got == wanted and wanted
+
+
+@pytest.mark.parametrize("method", ["joint", "naive", "single"])
+def test_page_accesses_of_the_range_query_are_those_of_the_definition(spark, cloud, method):
+    points = cloud.where("id < 1500")
+    points = stored(points.unionByName(points.where("id < 500").withColumn("id", F.col("id") + 10_000)), "test-copies")  # places with copies
+    index = build_index(points, 16)
+    drawn = sample_query_sets(points, 4, 5, 0.02, ranked=True)
+    assert drawn.where("r <= 3").drop("r").exceptAll(sample_query_sets(points, 4, 3, 0.02)).count() == 0
+    eps, sets = 0.15, drawn.drop("r")
+    frame, blocks = points.toPandas(), index.blocks.collect()
+    ids, x = frame["id"].to_numpy(), frame[coordinates(3)].to_numpy()
+    lo, hi = np.array([b["lo"] for b in blocks]), np.array([b["hi"] for b in blocks])
+    near = lambda q: (np.maximum(np.maximum(lo - q, q - hi), 0) ** 2).sum(axis=1) <= eps * eps
+    within = lambda q: ((x - q) ** 2).sum(axis=1) <= eps * eps
+    wanted = {}
+    for row in gathered(points, sets).select("*", chosen_order().alias("chosen")).collect():
+        q = {m["q"]: np.array(m["x"]) for m in row["qs"]}
+        if method == "joint":
+            apart = max(((a - b) ** 2).sum() for a in q.values() for b in q.values()) > 4 * eps * eps
+            window = (hi >= np.max(list(q.values()), axis=0) - eps).all(axis=1) & (lo <= np.min(list(q.values()), axis=0) + eps).all(axis=1)
+            times = (np.all([near(p) for p in q.values()], axis=0) & window & (not apart)).astype(int)
+        elif method == "naive":
+            times, left = np.zeros(len(blocks), dtype=int), np.ones(len(ids), dtype=bool)
+            for p in q.values():
+                if left.any():
+                    times, left = times + near(p), left & within(p)
+        else:
+            found = within(q[row["chosen"]]) & ~np.isin(ids, list(q))
+            times = near(q[row["chosen"]]) + sum((near(p).astype(int) for p in x[found]), np.zeros(len(blocks), dtype=int))
+        wanted |= {(row["set_id"], b["cell"]): int(n) for b, n in zip(blocks, times, strict=True) if n}
+    got = {(r["set_id"], r["cell"]): r["count"] for r in requests(index, sets, EpsRange(eps), method).groupBy("set_id", "cell").count().collect()}
+    assert got == wanted and wanted
+
+
+def chosen_order():
+    return F.array_min(F.transform("qs", lambda q: F.struct(F.xxhash64(q["q"], F.lit(0)).alias("h"), q["q"].alias("q"))))["q"]
