@@ -86,3 +86,28 @@ def test_page_accesses_of_the_range_query_are_those_of_the_definition(spark, clo
 
 def chosen_order():
     return F.array_min(F.transform("qs", lambda q: F.struct(F.xxhash64(q["q"], F.lit(0)).alias("h"), q["q"].alias("q"))))["q"]
+
+
+def test_index_summary_stands_for_all_rows(spark, monkeypatch):
+    import numpy as np
+
+    from inverse_engine.plans import blocks
+
+    monkeypatch.setattr(blocks, "CHUNK", 1_000)  # a session's own workers get the value with the function
+    rows = spark.range(0, 20_000, 1, 3).selectExpr("id", "pow(id / 20000D, 3) AS x0", "CAST(id % 7 AS DOUBLE) AS x1")
+    merged, some = blocks.summary(rows, 2, 200)
+    assert [round(w.sum()) for _, w in merged] == [20_000, 20_000] and len(some[0]) == len(some[1]) < 20_000
+    v, w = merged[0]
+    assert abs(v[np.searchsorted(np.cumsum(w), 10_000)] - 0.125) < 0.01
+    index = blocks.build_index(rows, 100)
+    assert index.points.count() == 20_000 and index.blocks.agg({"cnt": "sum"}).first()[0] == 20_000
+    assert index.points.where("zone != shiftright(cell, %d)" % index.zone_shift).count() == 0
+
+
+def test_cents_round_as_decimal_digits_do(spark):
+    from pyspark.sql import functions as F
+
+    from inverse_engine.sources.points import _cents
+
+    rows = spark.createDataFrame([(x,) for x in (0.0, 0.005, -0.005, 1.005, 2.675, -2.675, 0.0049999999999999994, 123456.78, -0.01, 4.5e13, 9e15, None)], "v double")
+    assert rows.where(~_cents("v").eqNullSafe(F.round(F.col("v") * 100).cast("long"))).count() == 0
