@@ -111,3 +111,17 @@ def test_cents_round_as_decimal_digits_do(spark):
 
     rows = spark.createDataFrame([(x,) for x in (0.0, 0.005, -0.005, 1.005, 2.675, -2.675, 0.0049999999999999994, 123456.78, -0.01, 4.5e13, 9e15, None)], "v double")
     assert rows.where(~_cents("v").eqNullSafe(F.round(F.col("v") * 100).cast("long"))).count() == 0
+
+
+def test_candidates_of_a_crowded_place_go_before_balls_are_looked_up(spark):
+    once = stored(synthetic(spark, 300, 2, seed=9), "test-once")
+    points = stored(once.join(spark.range(6).withColumnRenamed("id", "r")).selectExpr("id * 6 + r AS id", "x0", "x1"), "test-copies")
+    index = build_index(points, 64)
+    rows = gathered(points, sample_query_sets(points, 2, 3, 0.01)).withColumn("k", F.lit(5))
+    assert gathered(points, rows) is rows
+    reached = stored(knn._candidates(index, rows, None, False, False), "test-candidates")
+    left = knn._uncrowded(reached, index, False, True)
+    # Five copies are ahead of any member elsewhere, which is one more than places.
+    assert left.count() < reached.count()
+    got = {tuple(r) for r in knn._accepted(reached, index, False).collect()}
+    assert got == {tuple(r) for r in knn.inverse_knn(points, rows, 5, "brute").collect()}
