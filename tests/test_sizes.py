@@ -125,3 +125,19 @@ def test_candidates_of_a_crowded_place_go_before_balls_are_looked_up(spark):
     assert left.count() < reached.count()
     got = {tuple(r) for r in knn._accepted(reached, index, False).collect()}
     assert got == {tuple(r) for r in knn.inverse_knn(points, rows, 5, "brute").collect()}
+
+
+def test_independent_runs_go_side_by_side_and_keep_their_order(spark):
+    import threading
+
+    from inverse_engine.plans.store import together
+
+    both = threading.Barrier(2, timeout=60)  # breaks unless two runs are at work at once
+
+    def run(i):
+        both.wait()
+        return spark.range(i, i + 1)
+
+    assert [df.first()[0] for df in together(spark, [lambda i=i: run(i) for i in range(4)], "test-runs")] == [0, 1, 2, 3]
+    with pytest.raises(ValueError):
+        together(spark, [lambda: spark.range(1), lambda: (_ for _ in ()).throw(ValueError("no"))], "test-runs")
