@@ -141,3 +141,19 @@ def test_independent_runs_go_side_by_side_and_keep_their_order(spark):
     assert [df.first()[0] for df in together(spark, [lambda i=i: run(i) for i in range(4)], "test-runs")] == [0, 1, 2, 3]
     with pytest.raises(ValueError):
         together(spark, [lambda: spark.range(1), lambda: (_ for _ in ()).throw(ValueError("no"))], "test-runs")
+
+
+def test_skyline_candidates_go_by_some_points_before_blocks_are_read(spark, monkeypatch):
+    from inverse_engine.operators import skyline
+    from inverse_engine.sources.query_sets import neighbour_query_sets
+
+    monkeypatch.setattr(skyline, "FIRST_POINTS", 200)
+    points = stored(synthetic(spark, 900, 6, seed=3), "test-points")
+    index, sets = build_index(points, 32), neighbour_query_sets(points, 2, 2)
+    for include in (False, True):
+        rows = gathered(points, sets)
+        reached = stored(skyline._candidates(index, rows, None, include), "test-candidates")
+        left = skyline._not_ruled_out(reached, index, True)
+        assert 0 < left.count() < reached.count() and left.columns == reached.columns
+        got = {tuple(r) for r in skyline.inverse_dynamic_skyline(points, sets, index=index, include_query_objects=include).collect()}
+        assert got == {tuple(r) for r in skyline.inverse_dynamic_skyline(points, sets, "brute", include_query_objects=include).collect()} and got
