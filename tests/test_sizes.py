@@ -157,3 +157,20 @@ def test_skyline_candidates_go_by_some_points_before_blocks_are_read(spark, monk
         assert 0 < left.count() < reached.count() and left.columns == reached.columns
         got = {tuple(r) for r in skyline.inverse_dynamic_skyline(points, sets, index=index, include_query_objects=include).collect()}
         assert got == {tuple(r) for r in skyline.inverse_dynamic_skyline(points, sets, "brute", include_query_objects=include).collect()} and got
+
+
+def test_averages_look_members_up_once(spark, monkeypatch):
+    from inverse_engine.operators import common
+    from inverse_engine.plans import accesses
+
+    calls, look_up = [], common.attach_coordinates
+    monkeypatch.setattr(common, "attach_coordinates", lambda *a: calls.append(1) or look_up(*a))
+    points = stored(synthetic(spark, 600, 2, seed=4), "test-points")
+    index, sets = build_index(points, 32), sample_query_sets(points, 2, 2, 0.05)
+    got = {r["method"]: r for r in accesses.averages(index, sets, EpsRange(0.1), 1000).collect()}
+    assert len(calls) == 1 and set(got) == set(accesses.METHODS)
+    for method, r in got.items():
+        alone = accesses.blocks_read(index, sets, EpsRange(0.1), method).agg({"requested": "sum", "read": "sum", "pages": "sum"}).first()
+        assert r["n_sets"] == 2 and [r["requested"], r["read"], r["pages"]] == [alone[f"sum({c})"] / 2 for c in ("requested", "read", "pages")]
+    found = accesses.inverse(points, sets, EpsRange(0.1), "brute").count()
+    assert {r["results"] for r in got.values()} == {found / 2}
